@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import base, graphs  # noqa: F401
+from . import base, caching, graphs, running, sampling  # noqa: F401
 
 
 def queries():
