@@ -35,3 +35,15 @@ def checkpointed(df: DataFrame) -> DataFrame:
 def let(value: Column, body) -> Column:
     """``body(value)`` with ``value`` evaluated once per row, however often the body names it."""
     return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def map_in_arrow(df: DataFrame, func, schema, batch_bytes: int = 8 << 20) -> DataFrame:
+    """``df.mapInArrow`` with Arrow batches of at most ``batch_bytes``: both sides of the pipe hold a few of them at a time.
+
+    The bound is a runtime setting of the session; it is only ever lowered.
+    """
+    conf, key = df.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = conf.get(key).rstrip("b")
+    if not now.isdigit() or int(now) > batch_bytes:
+        conf.set(key, str(batch_bytes))
+    return df.mapInArrow(func, schema)

@@ -5,7 +5,8 @@ the frame) and the seek table of the public seekable format: sizes of every fram
 read by decompressing one frame.
 
 Of records with equal payloads the one with the largest page id is a response, and the others are revisits that refer to it. Payload groups are found on narrow rows: digests are
-counted before the shuffle, and only digests that repeat are joined back.
+counted before the shuffle, and only digests that repeat are joined back: broadcast while their counted rows are few (so payloads are not shuffled), else by a join whose hot digests are
+split at run time.
 
 Bundles are written by tasks into the shared folder under a temporary name and renamed, so a task that is run again replaces its own
 bundle; any file system that pyarrow opens by URI will do. A bundle is cut at ``bundle_bytes`` of payload, a frame at ``frame_bytes``, so memory is bounded by one frame
@@ -32,11 +33,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .state import checkpointed
+from .state import checkpointed, map_in_arrow
 
 # Fixed values of the seekable format: skippable frame magic for the seek table, its footer magic, and the magic of our index frame.
 SEEK_MAGIC, FOOTER_MAGIC, INDEX_MAGIC = 0x184D2A5E, 0x8F92EAB1, 0x184D2A50
 
+#: Digests that repeat are broadcast up to so many rows of about 100 bytes.
+BROADCAST_ROWS = 50_000
+
 
 @dataclass(frozen=True)
 class Record:
@@ -179,7 +183,8 @@ def plan_records(pages: DataFrame, id_col: str = "page_id", url: str = "url", ht
     sized = told.select("page_id", F.sha1("payload").alias("sha"), F.octet_length("payload").alias("n")).where(F.col("n") >= least_bytes)
     repeated = checkpointed(sized.groupBy("sha", "n").agg(F.max("page_id").alias("top"), F.count("*").alias("times")).where("times > 1 and top is not null").select("sha", F.col("n").alias("size"), "top"))
     keyed = told.withColumn("__sha", F.sha1("payload"))
-    joined = keyed.join(repeated, (F.col("__sha") == F.col("sha")) & (F.octet_length("payload") == F.col("size")), "left")
+    near = F.broadcast(repeated) if repeated.count() <= BROADCAST_ROWS else repeated
+    joined = keyed.join(near, (F.col("__sha") == F.col("sha")) & (F.octet_length("payload") == F.col("size")), "left")
     refers = F.when(F.col("page_id") < F.col("top"), F.col("top"))
     return joined.select("page_id", "url", "payload", refers.alias("refers_to"))
 
@@ -212,7 +217,7 @@ def write_bundles(records: DataFrame, folder: str, bundle_bytes: int = 64 << 20,
         if writer is not None:
             yield finish()
 
-    return records.mapInArrow(apply, "path string, records long, bytes long")
+    return map_in_arrow(records, apply, "path string, records long, bytes long")
 
 
 def read_bundles(bundles: DataFrame, folder: str, payloads: bool = False) -> DataFrame:
