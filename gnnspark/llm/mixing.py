@@ -24,6 +24,7 @@ from .state import checkpointed
 
 WORD = r"[^\x20\x09-\x0D]+"
 HASH_BITS = 60
+BROADCAST_ROWS = 100_000
 
 
 def keyed_hash(key: Column) -> Column:
@@ -31,6 +32,11 @@ def keyed_hash(key: Column) -> Column:
     return F.conv(F.substring(F.md5(F.coalesce(key.cast("string"), F.lit("")).cast("binary")), 1, HASH_BITS // 4), 16, 10).cast("long")
 
 
+def beside(sources: DataFrame, most_rows: int = BROADCAST_ROWS) -> DataFrame:
+    """A table with a row per source, ready to be joined: broadcast if its counted rows are few, else left to a shuffle whose hot keys are split at run time."""
+    return F.broadcast(sources) if sources.count() <= most_rows else sources
+
+
 def targets(sources: DataFrame, weights: Sequence[int] = (1, 2, 3), share: float = 1.0, most: int = 3) -> DataFrame:
     """(source, source_size, target) from (source, source_size).
 
@@ -58,9 +64,10 @@ def thresholds(sized: DataFrame, budgets: DataFrame, levels: int = 3, bits: int
     2**-(levels*bits) of the source, about one row; it is taken if that comes nearer to the budget.
     """
     found = budgets.select(F.col("source").alias("s"), "budget", F.lit(0).cast("long").alias("low"), F.lit(0).cast("long").alias("below"))
+    found = checkpointed(found)
     for level in range(1, levels + 1):
         width = HASH_BITS - bits * level
-        inside = sized.join(found, sized["source"].eqNullSafe(found["s"]))
+        inside = sized.join(beside(found), sized["source"].eqNullSafe(found["s"]))
         if level > 1:
             inside = inside.where((F.col("hash") >= F.col("low")) & (F.col("hash") < F.col("low") + F.lit(2 ** (width + bits))))
         hist = inside.groupBy("s", "budget", "below", F.shiftright("hash", width).alias("bucket")).agg(F.sum("size").alias("here"))
@@ -87,7 +94,7 @@ def mix_plan(sized: DataFrame, weights: Sequence[int] = (1, 2, 3), share: float
     plan = per.withColumn("full", full).withColumn("budget", F.col("target") - F.col("full") * F.col("source_size"))
     cut = thresholds(sized, plan.where("budget > 0"))
     both = plan.alias("p").join(cut.alias("c"), F.col("p.source").eqNullSafe(F.col("c.source")), "left")
-    return both.select(F.col("p.source").alias("s"), "source_size", "target", "full", F.coalesce("threshold", F.lit(0)).alias("threshold"))
+    return checkpointed(both.select(F.col("p.source").alias("s"), "source_size", "target", "full", F.coalesce("threshold", F.lit(0)).alias("threshold")))
 
 
 def copies(hash_: Column) -> Column:
@@ -99,19 +106,18 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text: str = "text", source: str
     """(doc_id, size, source_size, target, taken, copies) for every row; ``taken`` counts words, repeats included."""
     sized = measured(docs, id_col, text, source)
     plan = mix_plan(sized, weights, share, most)
-    joined = sized.join(plan, sized["source"].eqNullSafe(plan["s"]))
+    joined = sized.join(beside(plan), sized["source"].eqNullSafe(plan["s"]))
     return joined.select("doc_id", "size", "source_size", "target", (F.col("size") * copies(F.col("hash"))).alias("taken"), copies(F.col("hash")).alias("copies"))
 
 
 def take_mix(docs: DataFrame, id_col: str = "doc_id", text: str = "text", source: str = "source", weights: Sequence[int] = (1, 2, 3), share: float = 1.0, most: int = 3) -> DataFrame:
     """The documents of the mix with all their columns: a row for each time that a document is taken.
 
-    The plan has a row per source; Spark broadcasts it where its measured size allows, else both sides are shuffled by source
-    and hot sources are split at run time.
+    The plan has a row per source and is joined by :func:`beside`, so texts are not shuffled while sources are few.
     """
     plan = mix_plan(measured(docs, id_col, text, source), weights, share, most)
     mine = plan.select(*[F.col(c).alias(f"__mix_{c}") for c in ("s", "full", "threshold")])
     times = F.col("__mix_full") + F.when(keyed_hash(F.col(id_col)) < F.col("__mix_threshold"), 1).otherwise(0)
-    joined = docs.join(mine, docs[source].eqNullSafe(mine["__mix_s"]))
+    joined = docs.join(beside(mine), docs[source].eqNullSafe(mine["__mix_s"]))
     repeated = joined.withColumn("__mix_n", F.explode(F.when(times > 0, F.sequence(F.lit(1).cast("long"), times))))
     return repeated.select(*[F.col(f"`{c}`") for c in docs.columns])
