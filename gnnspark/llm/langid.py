@@ -5,8 +5,8 @@ into windows of fixed length. A window runs through a byte embedding, convolutio
 pooling over positions and a softmax; a document's score is the softmax of the byte-weighted mean of its windows' log
 probabilities, so whole texts count.
 
-Training uses a bounded sample: for every label the ``per_label`` rows of least hash, one window each at a hashed place. The sample is
-chosen on narrow columns; only chosen texts reach the driver, as one window each. Labels are the values
+Training uses a bounded sample: for every label the ``per_label`` rows of least hash, a few windows of each at hashed places. Only
+chosen windows are shuffled and reach the driver. Labels are the values
 seen in training; their number is that of the languages known.
 
 Defined results: null text, or text without a letter, is ``und`` with score 0; without labelled rows every document is ``und``; repeated
@@ -173,30 +173,35 @@ def fold(id_col: Column) -> Column:
     return F.crc32(F.coalesce(id_col.cast("string"), F.lit("")).cast("binary")) % 3
 
 
-def sample(docs: DataFrame, id_col: str, text: str, label: str, per_label: int, window: int) -> list[tuple[str, str]]:
-    """At most ``per_label`` (label, piece of text) pairs per label, chosen by hash among the rows that are not held out."""
+def sample(docs: DataFrame, id_col: str, text: str, label: str, per_label: int, window: int, pieces: int) -> list[tuple[str, str]]:
+    """At most ``per_label`` texts per label, ``pieces`` (label, piece of text) pairs of each, chosen by hash among the rows that are not held out.
+
+    Labels are counted first; a hash threshold then leaves a little more than ``per_label`` rows of each before any are ranked, so a frequent label
+    is no larger group than a rare one.
+    """
     h = F.xxhash64(F.col(id_col).cast("string"), F.lit(11))
     usable = docs.select(h.alias("h"), F.col(label).alias("label"), F.col(text).alias("text"), fold(F.col(id_col)).alias("fold")).where("fold <> 1 and label is not null and text is not null")
-    ranked = usable.select("label", "h").withColumn("r", F.row_number().over(Window.partitionBy("label").orderBy("h"))).where(F.col("r") <= per_label)
-    bound = {r["label"]: r["top"] for r in ranked.groupBy("label").agg(F.max("h").alias("top")).collect()}
-    if not bound:
+    counts = {r["label"]: r["n"] for r in usable.groupBy("label").agg(F.count("*").alias("n")).collect()}
+    if not counts:
         return []
-    limit = F.coalesce(*[F.when(F.col("label") == k, F.lit(v)) for k, v in bound.items()])
-    at = F.pmod(F.shiftright("h", 8), F.greatest(F.length("text") - 2 * window, F.lit(1)).cast("long")).cast("int") + 1
-    rows = usable.where(F.col("h") <= limit).select("label", "h", F.substring("text", at, F.lit(2 * window)).alias("piece"))
-    rows = rows.orderBy("h", "label", "piece").limit(per_label * len(bound))
+    share = {k: min(1.0, (per_label + 6 * per_label**0.5) / n) for k, n in counts.items()}
+    limit = F.coalesce(*[F.when(F.col("label") == k, F.lit(min(2**63 - 1, int(-(2**63) + s * 2**64)))) for k, s in share.items()])
+    places = F.transform(F.sequence(F.lit(0), F.lit(pieces - 1)), lambda i: F.pmod(F.shiftright("h", 8) + i * 7919, F.greatest(F.length("text") - 2 * window, F.lit(1)).cast("long")).cast("int") + 1)
+    near = usable.where(F.col("h") <= limit).select("label", "h", F.transform(places, lambda at: F.substring(F.col("text"), at, F.lit(2 * window))).alias("cut"))
+    ranked = near.withColumn("r", F.row_number().over(Window.partitionBy("label").orderBy("h", "cut"))).where(F.col("r") <= per_label)
+    rows = ranked.select("label", "h", F.explode(F.array_distinct("cut")).alias("piece")).orderBy("h", "label", "piece")
     return [(r["label"], r["piece"]) for r in rows.collect()]
 
 
-def train(docs: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "lang", per_label: int = 1000, window: int = 256, seed: int = 7) -> ByteCnn:
-    """Fit the network to at most ``per_label`` windows per label."""
-    rows = [(k, p) for k, p in sample(docs, id_col, text, label, per_label, window) if LETTER.search(p)]
+def train(docs: DataFrame, id_col: str = "doc_id", text: str = "text", label: str = "lang", per_label: int = 1000, window: int = 256, pieces: int = 2, seed: int = 7) -> ByteCnn:
+    """Fit the network to at most ``per_label`` texts per label, ``pieces`` windows of each."""
+    rows = [(k, p) for k, p in sample(docs, id_col, text, label, per_label, window, pieces) if LETTER.search(p)]
     model = ByteCnn(sorted({k for k, _ in rows}), window)
     if not rows:
         return model
     x = np.stack([model.windows(text_bytes(p))[0] for _, p in rows])
     y = np.array([model.labels.index(k) for k, _ in rows])
-    return model.fit(x, y, seed=seed)
+    return model.fit(x, y, epochs=max(3, min(40, 16_000 // len(x))), seed=seed)
 
 
 def identify(docs: DataFrame, model: ByteCnn, text: str = "text", keep: tuple[str, ...] = ("doc_id",), names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
