@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,18 +32,39 @@ def _counts(parts: list[tuple[str, DataFrame]]) -> DataFrame:
     return wide.fillna(0)
 
 
+class Prepared:
+    """What all samplers share on one graph, kept for a session: seeds, degrees, the cache, and the propagation table."""
+
+    kept: dict[tuple, "Prepared"] = {}
+
+    def __init__(self, spark: SparkSession, d: str, dataset: str):
+        g = load_graph(spark, d, dataset)
+        self.edges = g.edges.persist()
+        self.nodes = g.nodes.persist()
+        g.edges, g.nodes = self.edges, self.nodes
+        self.prop = propagation(g).persist()
+        self.seeds = hashed_seeds(self.nodes, BATCHES, SEEDS).persist()
+        self.deg = C.in_degrees(self.edges).persist()
+        self.cache = C.build_cache(C.cache_probs_degree(g), C.cache_size(self.nodes.count(), 0.01)).persist()
+
+    @classmethod
+    def of(cls, spark: SparkSession, d: str, dataset: str) -> "Prepared":
+        key = (spark.sparkContext.applicationId, d, dataset)
+        if key not in cls.kept:
+            cls.kept[key] = cls(spark, d, dataset)
+        return cls.kept[key]
+
+
 def batch_stats(spark: SparkSession, d: str, dataset: str, model: str) -> DataFrame:
     """(batch_id, touched, edges, inputs, missing, act, flops): what a batch costs, by one of the ten samplers."""
-    g = load_graph(spark, d, dataset)
-    seeds = hashed_seeds(g.nodes, BATCHES, SEEDS)
-    deg = C.in_degrees(g.edges)
+    x = Prepared.of(spark, d, dataset)
+    seeds, deg, cache = x.seeds, x.deg, x.cache
     if model in ("gcn", "graphsage"):
-        blocks, fronts = nodewise.node_wise_batches(seeds, g.edges, [FANOUT, FANOUT])
+        blocks, fronts = nodewise.node_wise_batches(seeds, x.edges, [FANOUT, FANOUT], keep_layers=True)
         rows, inputs, extra = fronts[1], fronts[2], 0
     else:
-        chosen, blocks = layerwise.LayerSampler.named(model, sizes=(SIZE, SIZE)).layers(propagation(g), seeds)
+        chosen, blocks = layerwise.LayerSampler.named(model, sizes=(SIZE, SIZE), keep_layers=True).layers(x.prop, seeds)
         rows, inputs, extra = chosen[0].select("batch_id", "node_id"), chosen[1].select("batch_id", "node_id"), 1
-    cache = C.build_cache(C.cache_probs_degree(g), C.cache_size(g.nodes.count(), 0.01))
     touched = seeds.union(rows.select("batch_id", "node_id")).join(deg, "node_id", "left").select("batch_id", (F.coalesce("deg", F.lit(0)) + extra).alias("n"))
     told = _counts([("touched", touched), ("e1", blocks[0]), ("e0", blocks[1]), ("r1", seeds), ("r0", rows), ("inputs", inputs), ("missing", inputs.join(cache, "node_id", "left_anti"))])
     (d0, classes), m = SHAPES[dataset], 2 if model == "graphsage" else 1
@@ -67,6 +90,10 @@ def costs_of(stats: DataFrame, width: int, workers: int, piped: bool) -> DataFra
 def workload(spark: SparkSession, d: str, models: tuple[str, ...], workers: int, datasets: tuple[str, ...] = DATASETS) -> DataFrame:
     """(model, dataset, workers, piped, batch_ms, training_ms, bytes): base runs are serial and synchronous, piped runs overlap all stages."""
     out = None
+    for dataset in datasets:
+        Prepared.of(spark, d, dataset)
+    with ThreadPoolExecutor(4) as pool:  # independent small jobs: planning of one overlaps with running of another
+        list(pool.map(lambda pair: kept_stats(spark, d, *pair), [(x, m) for x in datasets for m in models]))
     for dataset in datasets:
         for model in models:
             stats = kept_stats(spark, d, dataset, model)
