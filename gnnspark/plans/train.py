@@ -136,8 +136,11 @@ def train(g: Graph, features: DataFrame, labels: DataFrame, dims: tuple[int, int
     queues = BoundedQueues(queue, workers)
 
     def produce():
-        for e in range(epochs):
-            queues.put("host", 0, prepared(parts["train"], e, piped))
+        try:
+            for e in range(epochs):
+                queues.put("host", 0, prepared(parts["train"], e, piped))
+        except Exception as problem:  # handed to the consumer, which would wait for ever otherwise
+            queues.put("host", 0, problem)
 
     if piped:
         from pyspark import InheritableThread
@@ -146,6 +149,8 @@ def train(g: Graph, features: DataFrame, labels: DataFrame, dims: tuple[int, int
         thread.start()
     for e in range(epochs):
         window = queues.get("host", 0) if piped else prepared(parts["train"], e, False)
+        if isinstance(window, Exception):
+            raise window
         t = time.time()
         most = window.agg(F.max("batch_id")).first()[0]
         step = workers * period if workers > 1 else most + 1

@@ -189,7 +189,7 @@ def train_docs(spark, d, model, piped, workers, epochs=4, **more):
     return train(load_graph(spark, d, "docs_lex"), feats, labels.select(key("document", "doc_id").alias("node_id"), y.alias("y")), (100, 32, len(names)), model, piped, workers, epochs=epochs, rate=0.03, **more)
 
 
-@query("SELECT * FROM (VALUES ('gcn', 1), ('graphsage', 1)) v(model, ok)")
+# Not registered yet: a run did not end within minutes when last tried.
 def wl_train_accuracy(spark, d):
     """Both node-wise models learn the languages well above the majority class, piped or not, within two points of each other or better."""
     from ..sources.tables import read
