@@ -20,18 +20,27 @@ class Batch:
     own_outer: np.ndarray
 
     @classmethod
-    def of(cls, seeds: list, blocks: list, inputs: list) -> "Batch":
-        """From packaged rows: seeds (node_id, y), blocks (layer, dst, src, w), inputs (node_id, f)."""
-        seed_at = {r["node_id"]: i for i, r in enumerate(seeds)}
-        input_at = {r["node_id"]: i for i, r in enumerate(inputs)}
-        hidden_ids = sorted({r["dst"] for r in blocks if r["layer"] == 0} | {r["src"] for r in blocks if r["layer"] == 1} | set(seed_at))
-        hidden_at = {n: i for i, n in enumerate(hidden_ids)}
-        pick = lambda layer, row, col: [(row[r["dst"]], col[r["src"]], r["w"]) for r in blocks if r["layer"] == layer and r["dst"] in row and r["src"] in col]
-        arrays = lambda t: (np.array([a for a, _, _ in t], int), np.array([b for _, b, _ in t], int), np.array([c for _, _, c in t], float))
-        x = np.array([r["f"] for r in inputs], float)
-        own_inner = np.array([input_at.get(n, -1) for n in hidden_ids])
-        own_outer = np.array([hidden_at[r["node_id"]] for r in seeds])
-        return cls(x, arrays(pick(0, hidden_at, input_at)), arrays(pick(1, seed_at, hidden_at)), len(hidden_ids), np.array([r["y"] for r in seeds], int), own_inner, own_outer)
+    def of(cls, seeds: np.ndarray, y: np.ndarray, layer: np.ndarray, dst: np.ndarray, src: np.ndarray, w: np.ndarray, inputs: np.ndarray, x: np.ndarray) -> "Batch":
+        """From packaged columns: seeds and inputs are ascending ids, edges of layer 0 lead to the hidden nodes and those of layer 1 to the seeds.
+
+        Edges from nodes without features and to nodes that are not seeds are left out.
+        """
+        hidden = np.unique(np.concatenate([dst[layer == 0], src[layer == 1], seeds]))
+        return cls(x.reshape(len(inputs), -1), places(layer == 0, dst, src, w, hidden, inputs), places(layer == 1, dst, src, w, seeds, hidden), len(hidden), y, index_of(hidden, inputs), index_of(seeds, hidden))
+
+
+def index_of(ids: np.ndarray, among: np.ndarray) -> np.ndarray:
+    """Places of ``ids`` in the ascending array ``among``; -1 where absent."""
+    if not len(among):
+        return np.full(len(ids), -1)
+    at = np.minimum(np.searchsorted(among, ids), len(among) - 1)
+    return np.where(among[at] == ids, at, -1)
+
+
+def places(of_layer: np.ndarray, dst: np.ndarray, src: np.ndarray, w: np.ndarray, rows: np.ndarray, cols: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    r, c = index_of(dst[of_layer], rows), index_of(src[of_layer], cols)
+    held = (r >= 0) & (c >= 0)
+    return r[held], c[held], w[of_layer][held]
 
 
 def spread(coo, h: np.ndarray, rows: int) -> np.ndarray:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, Window
@@ -57,7 +59,7 @@ class LayerSampler:
     """A layer-wise sampler for windows of batches; ``sizes`` from the layer below the seeds down to the inputs.
 
     FastGCN draws every layer from one measure and may leave rows empty. LADIES draws from the columns that the rows above touch, and normalises rows unless debiased
-    (normalising would undo the debiasing). ``keep_layers`` keeps the chosen nodes of each layer (at most sizes x batches rows), so that several results over them share the work.
+    (normalising would undo the debiasing). ``keep`` (persist, spool) is applied to the chosen nodes of each layer (at most sizes x batches rows), so that several results over them share the work.
     """
 
     base: str = "ladies"
@@ -69,7 +71,7 @@ class LayerSampler:
     include_self: bool = True
     epoch: int = 0
     seed: int = 7
-    keep_layers: bool = False
+    keep: Callable[[DataFrame], DataFrame] | None = None
 
     @classmethod
     def named(cls, variant: str, **more) -> "LayerSampler":
@@ -103,8 +105,8 @@ class LayerSampler:
         normalise = self.row_normalise if self.row_normalise is not None else self.base == "ladies" and not self.debias
         for layer in reversed(range(len(self.sizes))):
             nodes = self.draw(prop, rows, layer)
-            if self.keep_layers:
-                nodes = nodes.persist()
+            if self.keep:
+                nodes = self.keep(nodes)
             blocks.append(block_of(prop, rows, nodes, normalise))
             chosen.append(nodes)
             rows = nodes.select("batch_id", "node_id")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -68,13 +70,13 @@ def expand_full(seeds: DataFrame, edges: DataFrame, hops: int) -> DataFrame:
     return out
 
 
-def node_wise_batches(seeds: DataFrame, edges: DataFrame, fanouts: list[int], epoch: int = 0, seed: int = 7, prefer: DataFrame | None = None, keep_layers: bool = False) -> tuple[list[DataFrame], list[DataFrame]]:
-    """Blocks from the seeds' layer down, and the frontier above each block; the last frontier holds the inputs. One plan for all batches."""
+def node_wise_batches(seeds: DataFrame, edges: DataFrame, fanouts: list[int], epoch: int = 0, seed: int = 7, prefer: DataFrame | None = None, keep: Callable[[DataFrame], DataFrame] | None = None) -> tuple[list[DataFrame], list[DataFrame]]:
+    """Blocks from the seeds' layer down, and the frontier above each block; the last frontier holds the inputs. One plan for all batches, unless ``keep`` (persist, spool) cuts it after each layer."""
     frontiers, blocks = [seeds.select("batch_id", "node_id").distinct()], []
     for i, k in enumerate(fanouts):
         layer = len(fanouts) - 1 - i
         block = sample_neighbors(frontiers[-1], edges, k, layer, epoch, seed, prefer=prefer)
-        blocks.append(block.persist() if keep_layers else block)
+        blocks.append(keep(block) if keep else block)
         block = blocks[-1]
         frontiers.append(next_frontier(frontiers[-1], block))
     return blocks, frontiers

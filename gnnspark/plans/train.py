@@ -2,7 +2,11 @@
 
 A worker is a group of rows. Between two resyncs it runs its batches in order in one task, from the model that all workers share;
 a job returns one model per worker, and the driver averages them (and the optimiser's moments). With a period of 1 every iteration is averaged:
-the synchronous method. ``piped`` prepares the next window in a thread while the present one trains.
+the synchronous method. ``piped`` prepares the next window in a thread while the present one trains. A window holds the batches of ``span`` epochs:
+an epoch is a part of the batch id, so longer windows mean fewer and larger jobs. The cache is drawn anew for each window.
+
+Adjacency, propagation, labels, cache probabilities, sampled layers and packaged windows are tables in the shared folder: each plan stays as small as one layer,
+and a lost executor costs the tasks that it ran.
 """
 
 from __future__ import annotations
@@ -10,11 +14,11 @@ from __future__ import annotations
 import pickle
 import threading
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..operators import cache as C
@@ -22,6 +26,7 @@ from ..operators import kernels, layerwise, nodewise
 from ..operators.propagation import propagation, split_of
 from ..functions.hashing import uniform
 from ..sources.graphs import Graph
+from ..sources.spool import spool
 from .queues import BoundedQueues
 
 MODELS = ("gcn", "graphsage", *layerwise.VARIANTS)
@@ -39,7 +44,10 @@ class RunResult:
 
 
 def package(seeds: DataFrame, blocks: list[DataFrame], inputs: DataFrame, features: DataFrame, labels: DataFrame) -> DataFrame:
-    """(batch_id, seeds, blocks, x): one row a batch, bounded by the sampler's sizes. Each feature row is fetched once a window."""
+    """One row a batch, bounded by the sampler's sizes: batch_id and the flat arrays of :meth:`kernels.Batch.of`, which Arrow hands over as numpy arrays.
+
+    Each feature row is fetched once a window. Null edge arrays: no edge was sampled. A batch none of whose inputs has features, or none of whose seeds has a label, is left out.
+    """
     y = seeds.join(labels, "node_id").groupBy("batch_id").agg(F.sort_array(F.collect_list(F.struct("node_id", "y"))).alias("seeds"))
     edges = blocks[0].select("batch_id", "layer", "dst", "src", "w")
     for b in blocks[1:]:
@@ -47,25 +55,37 @@ def package(seeds: DataFrame, blocks: list[DataFrame], inputs: DataFrame, featur
     e = edges.groupBy("batch_id").agg(F.sort_array(F.collect_list(F.struct("layer", "dst", "src", "w"))).alias("blocks"))
     needed = features.join(inputs.select("node_id").distinct(), "node_id", "left_semi")
     x = inputs.join(needed, "node_id").groupBy("batch_id").agg(F.sort_array(F.collect_list(F.struct("node_id", "f"))).alias("x"))
-    return y.join(e, "batch_id").join(x, "batch_id")
+    return y.join(x, "batch_id").join(e, "batch_id", "left").select("batch_id", *packed())
+
+
+def packed() -> list[Column]:
+    """Flat arrays from the columns seeds (node_id, y), blocks (layer, dst, src, w) and x (node_id, f), all arrays of structs."""
+    return [F.col("seeds.node_id").alias("seeds"), F.col("seeds.y").alias("y"), *[F.col(f"blocks.{c}").alias(c) for c in ("layer", "dst", "src", "w")], F.col("x.node_id").alias("inputs"), F.flatten("x.f").alias("x")]
 
 
 def sampled(model: str, g: Graph, prop: DataFrame, seeds: DataFrame, fanout: int, size: int, epoch: int, seed: int, cache: DataFrame | None = None):
     """(blocks with weights, inputs) of a window of batches by one of the ten samplers."""
     if model in ("gcn", "graphsage"):
-        raw, fronts = nodewise.node_wise_batches(seeds, g.edges, [fanout, fanout], epoch, seed, prefer=cache)
+        raw, fronts = nodewise.node_wise_batches(seeds, g.edges, [fanout, fanout], epoch, seed, prefer=cache, keep=spool)
         if model == "graphsage":
             return [nodewise.sage_weights(b) for b in raw], fronts[-1]
         return [nodewise.gcn_block(b, f, prop) for b, f in zip(raw, fronts)], fronts[-1]
-    s = layerwise.LayerSampler.named(model, sizes=(size, size), epoch=epoch, seed=seed)
+    s = layerwise.LayerSampler.named(model, sizes=(size, size), epoch=epoch, seed=seed, keep=spool)
     chosen, blocks = s.layers(prop, seeds)
     return blocks, chosen[-1].select("batch_id", "node_id").distinct()
 
 
-def windows(g: Graph, nodes: DataFrame, batch: int, epoch: int, seed: int) -> DataFrame:
-    """(batch_id, node_id): hash-bucketed batches."""
-    n = max(1, -(-nodes.count() // batch))
-    return nodes.select(F.floor(uniform(seed, "batch", epoch, F.col("node_id")) * n).cast("long").alias("batch_id"), "node_id")
+def windows(nodes: DataFrame, per_epoch: int, epochs: list[int], seed: int) -> DataFrame:
+    """(batch_id, node_id): hash-bucketed batches of some epochs; epoch e has the ids from ``e * per_epoch`` on."""
+    each = nodes.select("node_id", F.explode(F.array(*map(F.lit, epochs))).alias("epoch"))
+    place = F.floor(uniform(seed, "batch", F.col("epoch"), F.col("node_id")) * per_epoch)
+    return each.select((F.col("epoch") * per_epoch + place).cast("long").alias("batch_id"), "node_id")
+
+
+def unpacked(row) -> kernels.Batch:
+    array = lambda v, kind: np.array([] if v is None else v, kind)
+    edges = array(row.layer, np.int64), array(row.dst, np.int64), array(row.src, np.int64), array(row.w, float)
+    return kernels.Batch.of(array(row.seeds, np.int64), array(row.y, np.int64), *edges, array(row.inputs, np.int64), array(row.x, float))
 
 
 def run_part(packaged: DataFrame, params, optimiser, sage: bool, workers: int) -> list[tuple]:
@@ -76,8 +96,7 @@ def run_part(packaged: DataFrame, params, optimiser, sage: bool, workers: int) -
         p, opt = pickle.loads(start)
         total = 0.0
         for row in pdf.sort_values("batch_id").itertuples():
-            b = kernels.Batch.of(list(row.seeds), list(row.blocks), list(row.x))
-            loss, grads = kernels.loss_and_gradients(b, p, sage)
+            loss, grads = kernels.loss_and_gradients(unpacked(row), p, sage)
             p = opt.step(p, grads)
             total += loss
         return pd.DataFrame({"state": [pickle.dumps((p, opt))], "loss": [total / len(pdf)]})
@@ -101,7 +120,7 @@ def evaluate(packaged: DataFrame, params, sage: bool) -> float:
         for pdf in batches:
             hit = n = 0
             for row in pdf.itertuples():
-                b = kernels.Batch.of(list(row.seeds), list(row.blocks), list(row.x))
+                b = unpacked(row)
                 hit += int((kernels.forward(b, params, sage)["p"].argmax(1) == b.y).sum())
                 n += len(b.y)
             yield pd.DataFrame({"hit": [hit], "n": [n]})
@@ -110,35 +129,35 @@ def evaluate(packaged: DataFrame, params, sage: bool) -> float:
     return told[0] / told[1] if told[1] else 0.0
 
 
-def train(g: Graph, features: DataFrame, labels: DataFrame, dims: tuple[int, int, int], model: str = "gcn", piped: bool = True, workers: int = 1, period: int = 1, epochs: int = 3, batch: int = 64, fanout: int = 5, size: int = 128, rate: float = 0.01, seed: int = 7, queue: int = 2) -> RunResult:
+def train(g: Graph, features: DataFrame, labels: DataFrame, dims: tuple[int, int, int], model: str = "gcn", piped: bool = True, workers: int = 1, period: int = 1, epochs: int = 3, batch: int = 64, fanout: int = 5, size: int = 128, rate: float = 0.01, seed: int = 7, queue: int = 2, span: int = 1) -> RunResult:
     """Train one of the ten samplers' models; the result holds loss per epoch, validation and test accuracy, and timings of windows."""
-    sage = model == "graphsage"
-    prop = propagation(g).persist()
-    known = labels.join(g.nodes.select("node_id", split_of(F.col("node_id"), g.name, seed).alias("split")), "node_id").persist()
+    sage, cached = model == "graphsage", piped and model in ("gcn", "graphsage")
+    g = replace(g, nodes=spool(g.nodes), edges=spool(g.edges.select("dst", "src")))
+    prop = spool(propagation(g))
+    known = spool(labels.join(g.nodes.select("node_id", split_of(F.col("node_id"), g.name, seed).alias("split")), "node_id"))
     parts = {s: known.where(F.col("split") == s).select("node_id") for s in ("train", "val", "test")}
+    per_epoch = {r["split"]: max(1, -(-r["count"] // batch)) for r in known.groupBy("split").count().collect()}
     out, began = RunResult(model, piped, workers), time.time()
-    cache_p = C.cache_probs(g, parts["train"]) if piped else None
-    n_cache = C.cache_size(g.nodes.count(), 0.01)
+    if cached:
+        cache_p, n_cache = spool(C.cache_probs(g, parts["train"])), C.cache_size(g.nodes.count(), 0.01)
 
-    def prepared(nodes: DataFrame, epoch: int, use_cache: bool) -> DataFrame:
+    def prepared(split: str, some: list[int], use_cache: bool) -> DataFrame:
         t = time.time()
-        cache = C.build_cache(cache_p, n_cache, epoch, seed) if use_cache and cache_p is not None and model in ("gcn", "graphsage") else None
-        seeds = windows(g, nodes, batch, epoch, seed)
-        blocks, inputs = sampled(model, g, prop, seeds, fanout, size, epoch, seed, cache)
-        if sage:
-            inputs = inputs.union(seeds).distinct()
-        ready = package(seeds, blocks, inputs, features, known.select("node_id", "y")).persist()
-        ready.count()
-        out.timings.append((epoch, "sampling", t - began, time.time() - began))
+        cache = C.build_cache(cache_p, n_cache, some[0], seed) if use_cache else None
+        seeds = windows(parts[split], per_epoch.get(split, 1), some, seed)
+        blocks, inputs = sampled(model, g, prop, seeds, fanout, size, 0, seed, cache)
+        ready = spool(package(seeds, blocks, inputs, features, known.select("node_id", "y")))
+        out.timings.append((some[0], "sampling", t - began, time.time() - began))
         return ready
 
     params, opt = kernels.init(dims, sage, seed), kernels.Adam(rate)
     queues = BoundedQueues(queue, workers)
+    turns = [list(range(low, min(low + span, epochs))) for low in range(0, epochs, span)]
 
     def produce():
         try:
-            for e in range(epochs):
-                queues.put("host", 0, prepared(parts["train"], e, piped))
+            for some in turns:
+                queues.put("host", 0, prepared("train", some, cached))
         except Exception as problem:  # handed to the consumer, which would wait for ever otherwise
             queues.put("host", 0, problem)
 
@@ -147,25 +166,24 @@ def train(g: Graph, features: DataFrame, labels: DataFrame, dims: tuple[int, int
 
         thread: threading.Thread = InheritableThread(target=produce, daemon=True)
         thread.start()
-    for e in range(epochs):
-        window = queues.get("host", 0) if piped else prepared(parts["train"], e, False)
+    n = per_epoch.get("train", 1)
+    step = min(n, workers * period) if workers > 1 else n
+    for some in turns:
+        window = queues.get("host", 0) if piped else prepared("train", some, False)
         if isinstance(window, Exception):
             raise window
         t = time.time()
-        most = window.agg(F.max("batch_id")).first()[0]
-        step = workers * period if workers > 1 else most + 1
-        for low in range(0, most + 1, step):
-            states = run_part(window.where((F.col("batch_id") >= low) & (F.col("batch_id") < low + step)), params, opt, sage, workers)
-            if states:
-                params, opt, loss = averaged(states)
-        out.history.append((e, "loss", loss))
-        out.timings.append((e, "compute", t - began, time.time() - began))
-        window.unpersist()
+        for e in some:
+            losses = []
+            for low in range(e * n, (e + 1) * n, step):
+                states = run_part(window.where(F.col("batch_id").between(low, min(low + step, (e + 1) * n) - 1)), params, opt, sage, workers)
+                if states:
+                    params, opt, loss = averaged(states)
+                    losses.append(loss)
+            out.history.append((e, "loss", float(np.mean(losses)) if losses else float("nan")))
+        out.timings.append((some[0], "compute", t - began, time.time() - began))
     for split in ("val", "test"):
-        held = prepared(parts[split], 1000, False)
+        held = prepared(split, [epochs], False)
         out.history.append((epochs, split, evaluate(held, params, sage)))
-        held.unpersist()
-    prop.unpersist()
-    known.unpersist()
     out.params, out.most_queued = params, dict(queues.most)
     return out

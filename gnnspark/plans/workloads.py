@@ -60,10 +60,10 @@ def batch_stats(spark: SparkSession, d: str, dataset: str, model: str) -> DataFr
     x = Prepared.of(spark, d, dataset)
     seeds, deg, cache = x.seeds, x.deg, x.cache
     if model in ("gcn", "graphsage"):
-        blocks, fronts = nodewise.node_wise_batches(seeds, x.edges, [FANOUT, FANOUT], keep_layers=True)
+        blocks, fronts = nodewise.node_wise_batches(seeds, x.edges, [FANOUT, FANOUT], keep=DataFrame.persist)
         rows, inputs, extra = fronts[1], fronts[2], 0
     else:
-        chosen, blocks = layerwise.LayerSampler.named(model, sizes=(SIZE, SIZE), keep_layers=True).layers(x.prop, seeds)
+        chosen, blocks = layerwise.LayerSampler.named(model, sizes=(SIZE, SIZE), keep=DataFrame.persist).layers(x.prop, seeds)
         rows, inputs, extra = chosen[0].select("batch_id", "node_id"), chosen[1].select("batch_id", "node_id"), 1
     touched = seeds.union(rows.select("batch_id", "node_id")).join(deg, "node_id", "left").select("batch_id", (F.coalesce("deg", F.lit(0)) + extra).alias("n"))
     told = _counts([("touched", touched), ("e1", blocks[0]), ("e0", blocks[1]), ("r1", seeds), ("r0", rows), ("inputs", inputs), ("missing", inputs.join(cache, "node_id", "left_anti"))])

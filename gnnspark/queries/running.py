@@ -276,22 +276,23 @@ def udf_forward(spark, d):
     import pandas as pd
 
     from ..operators import kernels
+    from ..plans.train import packed, unpacked
 
     n = Net(spark, d)
     e = n.inner.select(F.lit(0).alias("layer"), "dst", "src", "w").union(n.outer.select(F.lit(1), "dst", "src", "w")).agg(F.sort_array(F.collect_list(F.struct("layer", "dst", "src", "w"))).alias("blocks"))
     needed = n.inner.select(F.col("src").alias("node_id")).union(n.rows).distinct()
     f = embedding_features(spark, d).join(needed, "node_id", "left_semi").select("node_id", F.slice("f", 1, DIM).alias("f")).agg(F.sort_array(F.collect_list(F.struct("node_id", "f"))).alias("x"))
     s = n.labels.agg(F.sort_array(F.collect_list(F.struct("node_id", "y"))).alias("seeds"))
-    one = e.withColumn("k", F.lit(1)).join(f.withColumn("k", F.lit(1)), "k").join(s.withColumn("k", F.lit(1)), "k")
+    one = e.withColumn("k", F.lit(1)).join(f.withColumn("k", F.lit(1)), "k").join(s.withColumn("k", F.lit(1)), "k").select(*packed())
     params = kernels.init((DIM, HID, CLASSES))
 
     def go(batches):
         for pdf in batches:
             for row in pdf.itertuples():
-                b = kernels.Batch.of(list(row.seeds), list(row.blocks), list(row.x))
+                b = unpacked(row)
                 out = kernels.forward(b, params)
                 z = out["a2"] @ params[1]
-                ids = [r["node_id"] for r in row.seeds]
+                ids = row.seeds
                 yield pd.DataFrame({"node_id": np.repeat(ids, CLASSES), "pos": np.tile(np.arange(CLASSES), len(ids)).astype("int32"), "x": z.ravel()})
 
     return rounded(one.mapInPandas(go, "node_id long, pos int, x double"), "x")

@@ -5,8 +5,6 @@ Each function takes a streaming table and returns one; :func:`drain` runs it to
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -15,13 +13,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
-
+from ..sources.spool import scratch
 
-def scratch(spark: SparkSession, kind: str) -> str:
-    """A fresh folder below the shared one, or below the temporary folder where none is named."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "checkpoints", "gnnspark")
-    return f"{base.rstrip('/')}/{kind}-{uuid.uuid4().hex}"
+EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:

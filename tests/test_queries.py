@@ -4,7 +4,7 @@ import pytest
 
 from gnnspark.queries import registry
 
-QUICK = "graph_cust_part graph_user_hops graph_page_links graph_geo_tree prop_sym prop_sym_directed split_shares label_planted batches ns_two_hop ns_replace gcn_block fastgcn_draw_iid block_fastgcn_d block_ladies_fd debias_coef cache_probs_walk2 cache_nodes gather_missing sched_bounded_q2 sched_pipelined queue_size grad_one_step update_schedule divergence_curve sync_period_published roc_auc f1_micro_macro utilisation early_stop_point wl_period_cost asof_model_version interval_overlap set_ops stream_session stream_grad_queue stream_late".split()
+QUICK = "udf_forward graph_cust_part graph_user_hops graph_page_links graph_geo_tree prop_sym prop_sym_directed split_shares label_planted batches ns_two_hop ns_replace gcn_block fastgcn_draw_iid block_fastgcn_d block_ladies_fd debias_coef cache_probs_walk2 cache_nodes gather_missing sched_bounded_q2 sched_pipelined queue_size grad_one_step update_schedule divergence_curve sync_period_published roc_auc f1_micro_macro utilisation early_stop_point wl_period_cost asof_model_version interval_overlap set_ops stream_session stream_grad_queue stream_late".split()
 
 
 @pytest.mark.parametrize("name", QUICK)
