@@ -14,8 +14,8 @@ def in_degrees(edges: DataFrame) -> DataFrame:
 
 
 def _normalised(mass: DataFrame) -> DataFrame:
-    total = mass.agg(F.sum("p").alias("total")).withColumn("k", F.lit(1))
-    return mass.withColumn("k", F.lit(1)).join(F.broadcast(total), "k").select("node_id", (F.col("p") / F.col("total")).alias("p"))
+    total = mass.agg(F.sum("p")).scalar()
+    return mass.select("node_id", (F.col("p") / total).alias("p"))
 
 
 def cache_probs_degree(g: Graph) -> DataFrame:
