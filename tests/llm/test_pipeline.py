@@ -1,5 +1,7 @@
 """The corpus pipeline: each stage against a brute-force version on a small corpus, and odd inputs."""
 
+import random
+
 from pyspark.sql import functions as F
 
 import corpus_pipeline
@@ -49,3 +51,29 @@ def test_empty_tables(spark, sf):
     none = corpus(spark, sf).where("doc_id < 0")
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, none, sf).count() == 0
+
+
+def test_near_copies_by_five_word_jaccard(spark, sf):
+    """Near copies at a similarity of 0.8 or more go even if their fingerprints are far apart, others stay; the rest agrees with brute force."""
+    rng = random.Random(3)
+    texts = []
+    for share in (0, 1, 3, 6, 9, 14):
+        for _ in range(4):
+            base = [f"w{rng.randrange(3000)}" for _ in range(150)]
+            near = list(base)
+            for at in rng.sample(range(150), share):
+                near[at] = f"z{rng.randrange(99)}"
+            texts += [" ".join(base), " ".join(near).upper()]
+    texts += [None, " ", "", "a b", "A  b", "a b c"] + ["same long run of words " * 30 + f"tail {i}" for i in range(40)]
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} for w in ((t or "").lower().split() for t in texts)]
+    root = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                a, b = sorted((root[i], root[j]))
+                root = [a if r == b else r for r in root]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate(texts)], SCHEMA)
+    kept = sorted(r["doc_id"] for r in corpus_pipeline.near_duplicates(spark, docs, sf).collect())
+    assert kept == sorted(set(root))
+    by_fingerprint = {r["doc_id"] for r in simhash.keep_one(docs).collect()}
+    assert any(i in by_fingerprint and i + 1 in by_fingerprint and root[i] == root[i + 1] for i in range(0, 48, 2))
