@@ -77,3 +77,16 @@ def test_near_copies_by_five_word_jaccard(spark, sf):
     assert kept == sorted(set(root))
     by_fingerprint = {r["doc_id"] for r in simhash.keep_one(docs).collect()}
     assert any(i in by_fingerprint and i + 1 in by_fingerprint and root[i] == root[i + 1] for i in range(0, 48, 2))
+
+
+def test_language_fills_null_and_keeps_unlabelled(spark, sf):
+    """A null lang takes the prediction; where no row has a label, documents with letters stay."""
+    docs = corpus(spark, sf)
+    hidden = docs.withColumn("lang", F.when(F.col("doc_id") % 3 > 0, F.col("lang")))
+    got = {r["doc_id"]: r["lang"] for r in corpus_pipeline.language(spark, hidden, sf).collect()}
+    true = {r["doc_id"]: r["lang"] for r in docs.collect()}
+    filled = [i for i in got if i % 3 == 0]
+    assert filled and all(got[i] for i in filled) and all(got[i] == true[i] for i in got if i % 3)
+    assert sum(got[i] == true[i] for i in filled) >= 0.9 * len(filled)
+    none = corpus_pipeline.language(spark, docs.withColumn("lang", F.lit(None).cast("string")), sf)
+    assert {r["doc_id"] for r in none.collect()} == set(got) and none.where("lang is not null").count() == 0
