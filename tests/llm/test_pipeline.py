@@ -90,3 +90,12 @@ def test_language_fills_null_and_keeps_unlabelled(spark, sf):
     assert sum(got[i] == true[i] for i in filled) >= 0.9 * len(filled)
     none = corpus_pipeline.language(spark, docs.withColumn("lang", F.lit(None).cast("string")), sf)
     assert {r["doc_id"] for r in none.collect()} == set(got) and none.where("lang is not null").count() == 0
+
+
+def test_rows_not_ids_are_chosen(spark, sf):
+    """A repeated id loses no text that is not linked; rows with a null id are compared like others."""
+    a, b = "alpha beta gamma delta epsilon zeta", "one two three four five six seven"
+    rows = [(1, a, "en"), (1, b, "en"), (1, a, "en"), (2, b, "en"), (None, b.upper(), "en"), (None, "solo text here", "en"), (None, "solo text here", "en"), (0, a, "en"), (3, None, "en")]
+    docs = spark.createDataFrame([(*r, "s", 0) for r in rows], SCHEMA)
+    got = sorted(((r["doc_id"], r["text"]) for r in corpus_pipeline.near_duplicates(spark, docs, sf).collect()), key=repr)
+    assert got == sorted([(0, a), (1, b), (None, "solo text here"), (3, None)], key=repr)
