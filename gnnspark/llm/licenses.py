@@ -3,7 +3,8 @@
 Only DataFrame functions are used, and only on documents that hold one of the anchor words which every known
 sentence has. The sentence table and the rules are fixed and small; they are literals of the plan.
 
-Defined results: null or empty text has no licence; sentences that are not known break no sequence, but identifiers must follow each other
+Defined results: null or empty text has no licence; a known sentence may be wrapped over lines and
+hold stops; sentences that are not known break no sequence, but identifiers must follow each other
 in the rule's order; rules are tried from the most specific, and what a rule has used is not matched again;
 repeated rows each get a result; an empty table gives no rows. Only the named columns are read.
 """
@@ -83,6 +84,26 @@ def normalised(sentence: Column) -> Column:
     return F.trim(F.regexp_replace(F.lower(sentence), "[^a-z0-9]+", " "))
 
 
+def spread(sentence: str) -> tuple[str, str]:
+    """A pattern of a sentence whose words may stand on several lines, from a start to an end of a sentence, and the words on one line.
+
+    Between two words there is no stop but where the sentence itself has one; comment marks count as white space.
+    """
+    words = re.findall("[A-Za-z0-9]+", sentence)
+    gaps = re.findall("[^A-Za-z0-9]+", sentence.strip(" .:"))
+    between = [r"[^A-Za-z0-9]++" if re.search("[.!?:]", g) else r"[^A-Za-z0-9.!?:]++" for g in gaps]
+    body = words[0] + "".join(g + w for g, w in zip(between, words[1:]))
+    return rf"(?i)(?<=\A|\n|[.!?:][ \t\r])[^A-Za-z0-9\n]*+{body}(?=[^A-Za-z0-9\n]*+(?:\n|\z)|[^A-Za-z0-9\s]*[.!?:][ \t\r])", " ".join(words)
+
+
+def rejoined(text: Column, sentences=SENTENCES) -> Column:
+    """The text with each known sentence on a line of its own, without the line breaks and stops that would cut it."""
+    for s in dict.fromkeys(s for _, s in sentences):
+        pattern, line = spread(s)
+        text = F.regexp_replace(text, F.lit(pattern), F.lit(f"\n{line}\n"))
+    return text
+
+
 def sentences_of(text: Column) -> Column:
     """Lines, cut after a stop, a question mark, an exclamation mark or a colon that white space follows."""
     return F.split(F.regexp_replace(text, r"([.!?:])[ \t\r]+", "$1\n"), "\n", -1)
@@ -99,9 +120,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text: str = "text", sentences=
             raise ValueError(f"no anchor in {s!r}")
     known = F.create_map(*[F.lit(x) for x in {normal(s): k for k, s in sentences}.items() for x in x])
     lower = F.lower(F.col(text))
-    likely = F.coalesce(F.greatest(*[F.contains(lower, F.lit(a)) for a in anchors]), F.lit(False))
+    likely = F.coalesce(F.greatest(*[lower.rlike(a.replace(" ", "[^a-z0-9]+")) if " " in a else F.contains(lower, F.lit(a)) for a in anchors]), F.lit(False))
     has_anchor = lambda s: F.greatest(*[F.contains(F.lower(s), F.lit(a)) for a in anchors])
-    ids = F.filter(F.transform(F.filter(sentences_of(F.col(text)), has_anchor), lambda s: F.try_element_at(known, normalised(s))), lambda k: k.isNotNull())
+    ids = F.filter(F.transform(F.filter(sentences_of(rejoined(F.col(text), sentences)), has_anchor), lambda s: F.try_element_at(known, normalised(s))), lambda k: k.isNotNull())
     found = docs.select(F.col(id_col).alias("doc_id"), F.when(likely, ids).otherwise(F.array().cast("array<string>")).alias("ids"))
 
     def use(acc: Column, rule: Column) -> Column:

@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import textwrap
 
 import pytest
 from pyspark.sql import functions as F
@@ -107,3 +108,13 @@ def test_license_rules(spark):
     assert [got[i]["licenses"] for i in range(8)] == ["", "", "", "MIT", "Apache-2.0", "MIT", "MIT,CC-BY-NC-4.0", ""]
     assert got[5]["sentence_ids"] == "mit_grant,mit_notice,as_is" and got[5]["n_licenses"] == 1 and got[6]["n_licenses"] == 3
     assert licenses.scan(docs_of(spark, [])).count() == 0
+
+
+def test_every_sentence_and_rule_is_met(spark):
+    """Each listed sentence yields its identifier and each rule its licence, on one line and wrapped at 72 columns, behind comment marks or not."""
+    whole = [(s, k, None) for k, s in licenses.SENTENCES]
+    whole += [(" ".join(dict(licenses.SENTENCES)[k].rstrip(".:") + "." for k in seq), ",".join(seq), name) for name, seq in licenses.RULES]
+    cases = [(make(t), ids, name) for t, ids, name in whole for make in (str, lambda t: textwrap.fill(t, 72), lambda t: "x\n" + textwrap.fill(t, 72, initial_indent=" * ", subsequent_indent=" * ") + "\ny")]
+    got = {r["doc_id"]: r for r in licenses.scan(docs_of(spark, [(i, t, None, 0, None) for i, (t, _, _) in enumerate(cases)])).collect()}
+    assert [got[i]["sentence_ids"] for i in range(len(cases))] == [ids for _, ids, _ in cases]
+    assert all(name in (None, got[i]["licenses"]) for i, (_, _, name) in enumerate(cases))
