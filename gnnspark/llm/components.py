@@ -2,6 +2,10 @@
 
 Every round is two aggregates and two joins over the edges that are left, followed by a reliable
 checkpoint; the driver sees two numbers a round. Labels are the smallest node id of a component.
+
+A node with very many edges would bring all of them to one task of a join. Such hubs are split off: their
+least neighbours are broadcast, and only the edges of other nodes are shuffled. A node is a hub above ``2 E / MOST_HUBS`` edge ends of
+E edges, so there are fewer than ``MOST_HUBS`` of them at any size.
 """
 
 from __future__ import annotations
@@ -11,21 +15,32 @@ from pyspark.sql import functions as F
 
 from .state import checkpointed
 
+MOST_HUBS, LEAST_HUB = 4096, 256
+
 
 def _least_neighbour(pairs: DataFrame) -> DataFrame:
-    return pairs.groupBy("u").agg(F.min("v").alias("m"))
+    """(u, m, ends): combined before the shuffle, so a hub costs one row a task."""
+    return pairs.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("ends"))
+
+
+def _told(pairs: DataFrame, least: DataFrame, edges: int) -> DataFrame:
+    """``pairs`` with the ``m`` of their ``u``."""
+    bound = max(LEAST_HUB, -(-2 * edges // MOST_HUBS))
+    hubs = F.broadcast(least.where(F.col("ends") > bound).select("u", "m"))
+    usual = least.where(F.col("ends") <= bound).select("u", "m")
+    return pairs.join(hubs, "u").union(pairs.join(hubs, "u", "left_anti").join(usual, "u"))
 
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def _large_star(edges: DataFrame, n: int) -> DataFrame:
     both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    least = _least_neighbour(both).select("u", F.least("u", "m").alias("m"))
-    return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+    least = _least_neighbour(both).select("u", F.least("u", "m").alias("m"), "ends")
+    return _told(both.where("v > u"), least, n).select(F.col("v").alias("u"), F.col("m").alias("v"))
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
+def _small_star(edges: DataFrame, n: int) -> DataFrame:
     down = edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u > v").distinct()
     least = _least_neighbour(down)
-    moved = down.join(least, "u").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+    moved = _told(down, least, n).where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
     return moved.union(least.select("u", F.col("m").alias("v"))).distinct()
 
 
@@ -35,13 +50,14 @@ def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst") -
     Nulls and self loops make no link; repeated and reversed edges count once; an empty table gives an
     empty result. A node without edges is not listed: its component is itself.
     """
-    left = edges.select(F.col(src).alias("u"), F.col(dst).alias("v")).where("u <> v")
+    left = checkpointed(edges.select(F.col(src).alias("u"), F.col(dst).alias("v")).where("u <> v"))
     seen = None
+    n = left.count()
     while True:
-        left = checkpointed(_small_star(_large_star(left)))
+        left = checkpointed(_small_star(_large_star(left, n), n))
         mark = left.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if mark == seen or not mark[0]:
             break
-        seen = mark
+        seen, n = mark, mark[0]
     label = left.select(F.col("u").alias("node"), F.col("v").alias("component"))
     return label.union(label.select("component", "component").distinct())

@@ -48,12 +48,38 @@ SENTENCES = (
     ("ccbysa4_name", "Licensed under CC BY-SA 4.0."),
     ("cc0_name", "Licensed under CC0 1.0."),
     ("unlicense", "This is free and unencumbered software released into the public domain."),
+    ("agpl_free", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version."),
+    ("agpl3_name", "Licensed under the GNU Affero General Public License, version 3."),
+    ("gpl2_free", "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version."),
+    ("lgpl21_free", "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version."),
+    ("isc_grant", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies."),
+    ("zero_grant", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted."),
+    ("isc_disclaims", "THE SOFTWARE IS PROVIDED \"AS IS\" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS."),
+    ("zlib_as_is", "This software is provided 'as-is', without any express or implied warranty."),
+    ("zlib_grant", "Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions:"),
+    ("boost_name", "Distributed under the Boost Software License, Version 1.0."),
+    ("epl2_name", "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0 which is available at https://www.eclipse.org/legal/epl-2.0/"),
+    ("artistic2_name", "Licensed under the Artistic License 2.0."),
+    ("ofl_name", "This Font Software is licensed under the SIL Open Font License, Version 1.1."),
+    ("bsd_ads", "All advertising materials mentioning features or use of this software must display the following acknowledgement:"),
+    ("ncsa_grant", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal with the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:"),
+    ("postgresql_grant", "Permission to use, copy, modify, and distribute this software and its documentation for any purpose, without fee, and without a written agreement is hereby granted, provided that the above copyright notice and this paragraph and the following two paragraphs appear in all copies."),
+    ("wtfpl_name", "This program is free software. It comes without any warranty, to the extent permitted by applicable law."),
+    ("eupl12_name", "Licensed under the EUPL, Version 1.2."),
+    ("cddl1_name", "The contents of this file are subject to the terms of the Common Development and Distribution License, Version 1.0."),
+    ("ccbynd4_name", "Licensed under CC BY-ND 4.0."),
+    ("ccbyncsa4_name", "Licensed under CC BY-NC-SA 4.0."),
+    ("ccbyncnd4_name", "Licensed under CC BY-NC-ND 4.0."),
+    ("ccbysa3_name", "Licensed under CC BY-SA 3.0."),
+    ("ccby3_name", "Licensed under CC BY 3.0."),
+    ("odbl1_name", "This database is made available under the Open Database License: http://opendatacommons.org/licenses/odbl/1.0/"),
 )
 
 # Rules in the order in which they are tried, as (licence, identifiers in sequence).
 RULES = (
     ("MIT", ("mit_name", "mit_grant", "mit_notice", "as_is")),
     ("MIT", ("mit_grant", "mit_notice", "as_is")),
+    ("BSD-4-Clause", ("bsd_grant", "bsd_source", "bsd_binary", "bsd_ads", "bsd_names")),
     ("BSD-3-Clause", ("bsd_grant", "bsd_source", "bsd_binary", "bsd_names")),
     ("BSD-2-Clause", ("bsd_grant", "bsd_source", "bsd_binary")),
     ("Apache-2.0", ("apache2_name", "apache2_obtain", "apache2_limits")),
@@ -70,10 +96,37 @@ RULES = (
     ("CC-BY-SA-4.0", ("ccbysa4_name",)),
     ("CC0-1.0", ("cc0_name",)),
     ("Unlicense", ("unlicense",)),
+    ("AGPL-3.0-or-later", ("agpl_free",)),
+    ("AGPL-3.0-only", ("agpl3_name",)),
+    ("GPL-2.0-or-later", ("gpl2_free",)),
+    ("LGPL-2.1-or-later", ("lgpl21_free",)),
+    ("ISC", ("isc_grant", "isc_disclaims")),
+    ("0BSD", ("zero_grant", "isc_disclaims")),
+    ("Zlib", ("zlib_as_is", "zlib_grant")),
+    ("BSL-1.0", ("boost_name",)),
+    ("EPL-2.0", ("epl2_name",)),
+    ("Artistic-2.0", ("artistic2_name",)),
+    ("OFL-1.1", ("ofl_name",)),
+    ("NCSA", ("ncsa_grant",)),
+    ("PostgreSQL", ("postgresql_grant",)),
+    ("WTFPL", ("wtfpl_name",)),
+    ("EUPL-1.2", ("eupl12_name",)),
+    ("CDDL-1.0", ("cddl1_name",)),
+    ("CC-BY-ND-4.0", ("ccbynd4_name",)),
+    ("CC-BY-NC-SA-4.0", ("ccbyncsa4_name",)),
+    ("CC-BY-NC-ND-4.0", ("ccbyncnd4_name",)),
+    ("CC-BY-SA-3.0", ("ccbysa3_name",)),
+    ("CC-BY-3.0", ("ccby3_name",)),
+    ("ODbL-1.0", ("odbl1_name",)),
 )
 
 # Every sentence above holds one of these.
-ANCHORS = ("licen", "permission", "warranty", "redistribut", "copyright", "public domain")
+ANCHORS = ("licen", "permission", "warrant", "redistribut", "copyright", "public domain", "advertising", "eupl")
+
+# Tags that name a licence of the rules are sentences with a rule of their own.
+TAGS = tuple((f"spdx_{name}", f"SPDX-License-Identifier: {name}") for name in dict.fromkeys(name for name, _ in RULES))
+SENTENCES += TAGS
+RULES += tuple((key.removeprefix("spdx_"), (key,)) for key, _ in TAGS)
 
 
 def normal(sentence: str) -> str:
@@ -97,11 +150,14 @@ def spread(sentence: str) -> tuple[str, str]:
 
 
 def rejoined(text: Column, sentences=SENTENCES) -> Column:
-    """The text with each known sentence on a line of its own, without the line breaks and stops that would cut it."""
-    for s in dict.fromkeys(s for _, s in sentences):
-        pattern, line = spread(s)
-        text = F.regexp_replace(text, F.lit(pattern), F.lit(f"\n{line}\n"))
-    return text
+    """The text with each known sentence on a line of its own, without the line breaks and stops that would cut it.
+
+    Sentences are first sought as plain words in the normalised text; the patterns run only for those that are there, the longest first.
+    """
+    known = sorted(dict.fromkeys(s for _, s in sentences), key=lambda s: (-len(s), s))
+    table = F.array(*[F.struct(F.lit(f" {normal(s)} ").alias("words"), F.lit(spread(s)[0]).alias("pattern"), F.lit(f"\n{spread(s)[1]}\n").alias("line")) for s in known])
+    there = let(F.concat(F.lit(" "), normalised(text), F.lit(" ")), lambda words: F.filter(table, lambda s: F.contains(words, s["words"])))
+    return F.aggregate(there, text, lambda acc, s: F.regexp_replace(acc, s["pattern"], s["line"]))
 
 
 def sentences_of(text: Column) -> Column:

@@ -93,7 +93,8 @@ def op6() -> str:
     hosts AS (SELECT host, count(*) AS n, sum((base_failed OR soft_failed)::INT) AS bad FROM judged GROUP BY host),
     moments AS (SELECT avg(bad / n) AS m, var_pop(bad / n) AS v FROM hosts),
     prior AS (SELECT m, CASE WHEN v > 1e-9 AND m > 0 AND m < 1 THEN greatest(m * (1 - m) / v - 1, 1e-3) ELSE 1e6 END AS s FROM moments),
-    flagged AS (SELECT host, (bad + m * s) / (n + s) > {r.host_rate} AS host_flagged FROM hosts, prior)
+    shrunk AS (SELECT host, (bad + m * s) / (n + s) AS rate FROM hosts, prior),
+    flagged AS (SELECT host, rate > (SELECT least({r.host_rate}, avg(rate) + {r.host_z} * stddev_pop(rate) + 1e-9) FROM shrunk) AS host_flagged FROM shrunk)
     SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT (host_flagged AND soft_failed) AS kept
     FROM judged JOIN flagged ON judged.host IS NOT DISTINCT FROM flagged.host"""
 

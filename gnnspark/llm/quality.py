@@ -5,7 +5,7 @@ neighbours are repeats, and the positions they cover are summed; nothing is expl
 joined with the hosts' verdicts.
 
 A host's failure rate is shrunk towards the corpus by a beta prior fitted to the hosts by moments, so a host with few documents
-is not condemned by one failure. A document falls by a base rule, or by a soft rule when its host is flagged: clean documents of a
+is not condemned by one failure; a host is flagged when its shrunk rate lies more than ``host_z`` deviations above the mean of all hosts' shrunk rates, or above ``host_rate``. A document falls by a base rule, or by a soft rule when its host is flagged: clean documents of a
 bad host stay.
 
 Defined results: null text has no words (and so fails the base rule); a null host is a host of its own; repeated rows each get
@@ -34,6 +34,7 @@ class QualityRules:
     least_word_chars: int = 2
     most_word_chars: int = 14
     host_rate: float = 0.5
+    host_z: float = 1.0
 
 
 def words_of(text: Column) -> Column:
@@ -41,21 +42,25 @@ def words_of(text: Column) -> Column:
 
 
 def repeat_words(words: Column) -> Column:
-    """How many words lie in three-word windows that are found twice or more; exact, n log n in the words."""
+    """How many words lie in three-word windows that are found twice or more; exact, n log n in the words.
 
-    def positions(ws: Column) -> Column:
-        window = lambda i: F.struct(F.concat_ws(" ", F.get(ws, i), F.get(ws, i + 1), F.get(ws, i + 2)).alias("w"), i.alias("at"))
-        every = F.when(F.size(ws) >= 3, F.transform(F.sequence(F.lit(0), F.size(ws) - 3), window)).otherwise(F.array().cast("array<struct<w:string,at:int>>"))
+    Hashes of windows are sorted with their positions; only windows whose hash is found twice are compared as text.
+    """
+    none = F.array().cast("array<int>")
 
-        def doubled(rows: Column) -> Column:
-            same = lambda row, i: F.coalesce(F.get(rows, i)["w"] == row["w"], F.lit(False))
-            return F.sort_array(F.transform(F.filter(rows, lambda row, i: F.when(i > 0, same(row, i - 1)).otherwise(False) | same(row, i + 1)), lambda row: row["at"]))
+    def among(ws: Column) -> Column:
+        hashed = lambda i: F.struct(F.xxhash64(F.get(ws, i), F.get(ws, i + 1), F.get(ws, i + 2)).alias("w"), i.alias("at"))
+        every = F.when(F.size(ws) >= 3, F.transform(F.sequence(F.lit(0), F.size(ws) - 3), hashed)).otherwise(F.array().cast("array<struct<w:bigint,at:int>>"))
+        said = lambda i: F.struct(F.concat_ws(" ", F.get(ws, i), F.get(ws, i + 1), F.get(ws, i + 2)).alias("w"), i.alias("at"))
+        return let(let(F.sort_array(every), doubled), lambda at: F.when(F.size(at) > 0, F.sort_array(let(F.sort_array(F.transform(at, said)), doubled))).otherwise(none))
 
-        return let(F.sort_array(every), doubled)
+    def doubled(rows: Column) -> Column:
+        same = lambda row, i: F.coalesce(F.get(rows, i)["w"] == row["w"], F.lit(False))
+        return F.transform(F.filter(rows, lambda row, i: F.when(i > 0, same(row, i - 1)).otherwise(False) | same(row, i + 1)), lambda row: row["at"])
 
     begin = F.struct(F.lit(-3).alias("last"), F.lit(0).cast("long").alias("n"))
     covered = lambda acc, at: F.struct(at.alias("last"), (acc["n"] + F.least(F.lit(3), at - acc["last"])).alias("n"))
-    return F.aggregate(let(words, positions), begin, covered, lambda acc: acc["n"])
+    return F.aggregate(let(words, among), begin, covered, lambda acc: acc["n"])
 
 
 def measure(docs: DataFrame, id_col: str = "doc_id", text: str = "text", host: str = "source") -> DataFrame:
@@ -94,10 +99,16 @@ def host_verdicts(judged: DataFrame, rules: QualityRules) -> DataFrame:
     hosts = checkpointed(judged.groupBy("host").agg(F.count("*").alias("host_docs"), F.sum(bad.cast("long")).alias("host_bad")))
     rate = F.col("host_bad") / F.col("host_docs")
     m, v = hosts.agg(F.avg(rate), F.var_pop(rate)).first()
-    m, v = m or 0.0, v or 0.0
-    strength = max(m * (1 - m) / v - 1, 1e-3) if v > 1e-9 and 0 < m < 1 else 1e6
+    m, strength = fitted_prior(m or 0.0, v or 0.0)
     shrunk = (F.col("host_bad") + m * strength) / (F.col("host_docs") + strength)
-    return hosts.select("host", "host_docs", shrunk.alias("host_rate"), (shrunk > rules.host_rate).alias("host_flagged"))
+    centre, spread = hosts.agg(F.avg(shrunk), F.stddev_pop(shrunk)).first()
+    bound = min(rules.host_rate, (centre or 0.0) + rules.host_z * (spread or 0.0) + 1e-9)
+    return hosts.select("host", "host_docs", shrunk.alias("host_rate"), (shrunk > bound).alias("host_flagged"))
+
+
+def fitted_prior(m: float, v: float) -> tuple[float, float]:
+    """(mean, strength) of the beta prior with the hosts' mean and variance; hosts that do not differ have a prior of great strength."""
+    return m, max(m * (1 - m) / v - 1, 1e-3) if v > 1e-9 and 0 < m < 1 else 1e6
 
 
 def judge(docs: DataFrame, rules: QualityRules = QualityRules(), id_col: str = "doc_id", text: str = "text", host: str = "source") -> DataFrame:

@@ -173,6 +173,65 @@ def test_pii_model_and_redaction(spark):
     assert pii.find(none, pii.train(none)).count() == 0
 
 
+def slow_estimate(groups, vote, n, n_groups, rounds):
+    """The same estimation, pattern by pattern."""
+    k = len(vote[0])
+    tables = [[[b / sum(pii.BELIEF[y]) for b in pii.BELIEF[y]] for _ in range(k)] for y in (0, 1)]
+    priors = [0.5] * n_groups
+    for _ in range(rounds):
+        soft = []
+        for g, v in zip(groups, vote):
+            p = [1 - priors[g], priors[g]]
+            for y in (0, 1):
+                for i in range(k):
+                    p[y] *= tables[y][i][v[i]]
+            soft.append(p[1] / sum(p))
+        priors = [(sum(m * s for m, s, h in zip(n, soft, groups) if h == g) + 1) / (sum(m for m, h in zip(n, groups) if h == g) + 2) for g in range(n_groups)]
+        for y in (0, 1):
+            for i in range(k):
+                c = [sum(m * (s if y else 1 - s) for m, s, v in zip(n, soft, vote) if v[i] == x) + pii.BELIEF[y][x] for x in range(3)]
+                tables[y][i] = [x / sum(c) for x in c]
+    return priors, tables, soft
+
+
+def test_pii_reliabilities_are_recovered():
+    """Votes drawn from known priors and reliabilities give them back; a slow version agrees."""
+    rng = np.random.default_rng(1)
+    yes = np.array([[0.05, 0.15, 0.8], [0.1, 0.1, 0.8], [0.05, 0.45, 0.5], [0.02, 0.58, 0.4], [0.1, 0.8, 0.1]])
+    no = np.array([[0.7, 0.2, 0.1], [0.5, 0.3, 0.2], [0.3, 0.6, 0.1], [0.1, 0.8, 0.1], [0.6, 0.3, 0.1]])
+    drawn = []
+    for g, prior in enumerate((0.15, 0.6)):
+        for is_yes in rng.random(6000) < prior:
+            drawn.append((g, *(int(rng.choice(3, p=t)) for t in (yes if is_yes else no))))
+    counts = {}
+    for d in drawn:
+        counts[d] = counts.get(d, 0) + 1
+    keys = sorted(counts)
+    groups, vote, n = np.array([k[0] for k in keys]), np.array([k[1:] for k in keys]), np.array([counts[k] for k in keys], float)
+    priors, tables, soft = pii.estimate(groups, vote, n, 2, 300)
+    assert priors == pytest.approx([0.15, 0.6], abs=0.05) and np.abs(tables[1] - yes).max() < 0.08 and np.abs(tables[0] - no).max() < 0.08
+    fast, slow = pii.estimate(groups, vote, n, 2, 5), slow_estimate(groups.tolist(), vote.tolist(), n.tolist(), 2, 5)
+    for a, b in zip(fast, slow):
+        assert np.allclose(a, np.array(b), atol=1e-9)
+
+
+def test_pii_method_decides_on_given_texts(spark, sf):
+    """Keys in quotes are added, digits that fail their check are not; no prior of a group with candidates is at its end."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    docs = docs.union(docs.limit(0)).select("doc_id", "text")
+    extra = ["order 4111 1111 1111 1112 shipped", "see 1234567812345678 there", 'token = "04dbebab91ab85687d33eeaaf9ac699e1188f962" x', "call (262) 555-7240 by phone", "on 2024-01-15 or 12:30:45", "version 300.1.2.3"] * 30
+    more = spark.createDataFrame([(10**6 + i, t) for i, t in enumerate(extra)], "doc_id long, text string")
+    model = pii.train(docs.union(more))
+    assert 0.01 < model.priors[2 * pii.KINDS.index("card")] < 0.5 < model.priors[2 * pii.KINDS.index("secret")]
+    got = {r["doc_id"]: r["spans"] for r in pii.find(more, model).collect()}
+    assert [got[10**6 + i] for i in range(6)] == ["", "", "secret:9:49", "phone:5:19", "", ""]
+
+
+def test_pii_loose_spans_are_linear():
+    for t in ("1 " * 200_000, "ab1" * 100_000, "1:" * 200_000, "(1)" * 100_000, "a1b2c3d4e5f6g7h8i9j0k1 " * 20_000):
+        assert len(pii.loose_spans(t, [])) <= len(t)
+
+
 # ---- SimHash ----
 
 
@@ -293,3 +352,29 @@ def test_embeddings_counts_do_not_depend_on_blocks(spark, monkeypatch):
     real = blockpairs.dealt
     monkeypatch.setattr(embeddings, "dealt", lambda members, node: real(members, node, block=16))
     assert embeddings.near_duplicates(df).orderBy("vec_id").collect() == whole
+
+
+def test_embeddings_recall_at_shipped_parameters(spark):
+    """Pairs planted at a cosine just above 0.98 are found by the defaults; those just below are no links."""
+    rng = np.random.default_rng(5)
+    rows, want = [], 0
+    for i in range(1500):
+        u = rng.standard_normal(64)
+        u /= np.linalg.norm(u)
+        w = rng.standard_normal(64)
+        w -= (w @ u) * u
+        w /= np.linalg.norm(w)
+        c = 0.981 if i % 3 else 0.979
+        want += c > 0.98
+        rows += [(2 * i, u.tolist(), i % 2), (2 * i + 1, (c * u + (1 - c * c) ** 0.5 * w).tolist(), i % 2)]
+    got = embeddings.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")).collect()
+    linked = {r["vec_id"] for r in got if r["n_links"]}
+    assert all(v // 2 % 3 for v in linked) and len(linked) // 2 >= 0.99 * want
+
+
+def test_components_split_hubs(spark):
+    """A star, chained to a path, is one component; with a low bound its centre is a hub in every round."""
+    n = 3000
+    edges = [(0, i) for i in range(1, n)] + [(n - 1, n), (n, n + 1), (n + 5, n + 6)]
+    label = {r["node"]: r["component"] for r in components.connected_components(spark.createDataFrame(edges, "src long, dst long")).collect()}
+    assert label == {i: 0 for i in range(n + 2)} | {n + 5: n + 5, n + 6: n + 5}

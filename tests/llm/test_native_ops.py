@@ -101,6 +101,13 @@ def test_quality_host_rule(spark):
     assert not got[0] and got[95] and got[1000] and got[1001]
 
 
+def test_quality_verdict_changes_rows(spark):
+    """On the given documents some host lies above the fitted bound, and what it loses are documents that fail a soft rule only."""
+    got = quality.judge(spark.read.parquet("/root/testdata/sf0.01/documents.parquet")).collect()
+    lost = [r for r in got if not r["kept"] and not r["base_failed"]]
+    assert lost and all(r["soft_failed"] and r["host_flagged"] for r in lost) and len(lost) < 0.05 * len(got)
+
+
 def test_license_rules(spark):
     mit = " ".join(s for k, s in licenses.SENTENCES if k in ("mit_grant", "mit_notice", "as_is"))
     texts = [None, "", "no such thing", "Intro here. Released under the MIT License. More", "x\nLicensed under the Apache License, Version 2.0.\ny", mit, "Licensed under CC BY-NC 4.0.\nReleased under the MIT License.\nReleased under the MIT license.", "a license is mentioned"]
