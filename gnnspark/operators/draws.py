@@ -8,12 +8,12 @@ from pyspark.sql import functions as F
 from ..functions.hashing import race_key, uniform
 
 
-def race(pool: DataFrame, size: int, layer: int, epoch: int = 0, seed: int = 7) -> DataFrame:
+def race(pool: DataFrame, size: int, layer: int, epoch: int = 0, seed: int = 7, impl: str = "md5") -> DataFrame:
     """(batch_id, layer, node_id, p, ord): ``size`` nodes of each batch's pool (batch_id, node_id, p), in draw order.
 
     The order of the race is that of sequential draws without replacement. The rank limit runs before the shuffle, too.
     """
-    key = race_key(uniform(seed, epoch, F.col("batch_id"), layer, F.col("node_id")), F.col("p"))
+    key = race_key(uniform(seed, epoch, F.col("batch_id"), layer, F.col("node_id"), impl=impl), F.col("p"))
     order = Window.partitionBy("batch_id").orderBy(key, "node_id")
     ranked = pool.where("p > 0").select("batch_id", F.lit(layer).alias("layer"), "node_id", "p", F.row_number().over(order).alias("ord"))
     return ranked.where(F.col("ord") <= size)

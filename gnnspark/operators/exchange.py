@@ -6,6 +6,8 @@ for itself. Everything here is windows and aggregates over event tables, so a ru
 
 from __future__ import annotations
 
+import hashlib
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -21,6 +23,14 @@ def delay_table(spark: SparkSession, workers: int, iterations: int, seed: int =
     return rows.withColumn("delay", F.when(F.col("sender") == F.col("receiver"), 0).otherwise(drawn + F.when(F.col("sender") == n - 1, straggler).otherwise(0)))
 
 
+def delay_of(t: int, sender: int, receiver: int, workers: int, seed: int = 7, most: int = 3, straggler: int = 2) -> int:
+    """One entry of :func:`delay_table`, for code outside of a plan."""
+    if sender == receiver:
+        return 0
+    u = (int(hashlib.md5(f"{seed}:delay:{t}:{sender}:{receiver}".encode()).hexdigest()[:8], 16) + 0.5) / 4294967296
+    return int(most * u) + (straggler if sender == workers - 1 else 0)
+
+
 def arrivals(delays: DataFrame) -> DataFrame:
     return delays.withColumn("arrive", F.col("iter") + F.col("delay"))
 

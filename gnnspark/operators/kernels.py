@@ -43,18 +43,24 @@ def places(of_layer: np.ndarray, dst: np.ndarray, src: np.ndarray, w: np.ndarray
     return r[held], c[held], w[of_layer][held]
 
 
+def summed(at: np.ndarray, values: np.ndarray, rows: int) -> np.ndarray:
+    """Sums of ``values`` by row number, one pass over sorted rows."""
+    out = np.zeros((rows, values.shape[1]))
+    if len(at):
+        order = np.argsort(at, kind="stable")
+        starts = np.flatnonzero(np.diff(at[order], prepend=-1))
+        out[at[order][starts]] = np.add.reduceat(values[order], starts, axis=0)
+    return out
+
+
 def spread(coo, h: np.ndarray, rows: int) -> np.ndarray:
-    out = np.zeros((rows, h.shape[1]))
     r, c, w = coo
-    np.add.at(out, r, w[:, None] * h[c])
-    return out
+    return summed(r, w[:, None] * h[c], rows)
 
 
 def collect(coo, g: np.ndarray, cols: int) -> np.ndarray:
     r, c, w = coo
-    out = np.zeros((cols, g.shape[1]))
-    np.add.at(out, c, w[:, None] * g[r])
-    return out
+    return summed(c, w[:, None] * g[r], cols)
 
 
 def picked(h: np.ndarray, own: np.ndarray) -> np.ndarray:
@@ -86,7 +92,8 @@ def loss_and_gradients(b: Batch, params: list[np.ndarray], sage: bool = False) -
     width = f["h1"].shape[1]
     dh = collect(b.outer, back[:, :width], b.hidden)
     if sage:
-        np.add.at(dh, b.own_outer, back[:, width:])
+        held = b.own_outer >= 0
+        dh += summed(b.own_outer[held], back[held, width:], b.hidden)
     g1 = dh * (f["z1"] > 0)
     return loss, [f["a1"].T @ g1, f["a2"].T @ g2]
 
@@ -103,7 +110,7 @@ class Adam:
         if not self.m:
             self.m, self.v = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params]
         out = []
-        for i, (p, g) in enumerate(zip(params, grads)):
+        for i, (p, g) in enumerate(zip(params, grads)):  # new arrays: copies of an optimiser share theirs
             self.m[i] = 0.9 * self.m[i] + 0.1 * g
             self.v[i] = 0.999 * self.v[i] + 0.001 * g * g
             out.append(p - self.rate * (self.m[i] / (1 - 0.9**self.t)) / (np.sqrt(self.v[i] / (1 - 0.999**self.t)) + 1e-8))

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import draws
@@ -14,19 +14,23 @@ from . import draws
 VARIANTS = {f"{base}{'_' if x else ''}{x}": (base, "f" in x, "d" in x) for base in ("fastgcn", "ladies") for x in ("", "f", "d", "fd")}
 
 
-def column_probs(prop: DataFrame, rows: DataFrame | None = None, power: int = 2) -> DataFrame:
+def column_probs(prop: DataFrame, rows: DataFrame | None = None, power: int | Column = 2) -> DataFrame:
     """(node_id, p), or (batch_id, node_id, p) where ``rows`` (batch_id, node_id) restricts the matrix.
 
-    ``power`` 2: squared column norms; 1 (flat): the norms. Squares are summed before the shuffle.
+    ``power`` 2: squared column norms; 1 (flat): the norms; with ``rows`` it may depend on the batch. Squares are summed before the shuffle.
     """
     if rows is None:
         sums, by = prop.groupBy(F.col("col").alias("node_id")).agg(F.sum(F.col("w") * F.col("w")).alias("q")), []
     else:
         near = prop.join(rows.select("batch_id", F.col("node_id").alias("row")), "row")
         sums, by = near.groupBy("batch_id", F.col("col").alias("node_id")).agg(F.sum(F.col("w") * F.col("w")).alias("q")), ["batch_id"]
-    mass = sums.withColumn("q", F.sqrt("q")) if power == 1 else sums
-    if by:
-        return mass.select(*by, "node_id", (F.col("q") / F.sum("q").over(Window.partitionBy(*by))).alias("p"))
+    if isinstance(power, Column):
+        mass = sums.withColumn("q", F.when(power == 1, F.sqrt("q")).otherwise(F.col("q")))
+    else:
+        mass = sums.withColumn("q", F.sqrt("q")) if power == 1 else sums
+    if by:  # totals by a combining aggregate: no task sees all candidates of a batch
+        total = mass.groupBy(*by).agg(F.sum("q").alias("total"))
+        return mass.join(total, by).select(*by, "node_id", (F.col("q") / F.col("total")).alias("p"))
     total = mass.agg(F.sum("q").alias("total")).withColumn("k", F.lit(1))
     return mass.withColumn("k", F.lit(1)).join(F.broadcast(total), "k").select("node_id", (F.col("q") / F.col("total")).alias("p"))
 
@@ -36,12 +40,13 @@ def activation_probs(prop: DataFrame, norms: DataFrame, rows: DataFrame | None =
     pool = (prop if rows is None else prop.join(rows.select("batch_id", F.col("node_id").alias("row")), "row")).select(*([] if rows is None else ["batch_id"]), F.col("col").alias("node_id")).distinct()
     held = pool.join(norms, "node_id", "left").withColumn("h", F.coalesce("h", F.lit(1.0)))
     if rows is not None:
-        return held.select("batch_id", "node_id", (F.col("h") / F.sum("h").over(Window.partitionBy("batch_id"))).alias("p"))
+        sums = held.groupBy("batch_id").agg(F.sum("h").alias("total"))
+        return held.join(sums, "batch_id").select("batch_id", "node_id", (F.col("h") / F.col("total")).alias("p"))
     total = held.agg(F.sum("h").alias("total")).withColumn("k", F.lit(1))
     return held.withColumn("k", F.lit(1)).join(F.broadcast(total), "k").select("node_id", (F.col("h") / F.col("total")).alias("p"))
 
 
-def block_of(prop: DataFrame, rows: DataFrame, chosen: DataFrame, normalise: bool) -> DataFrame:
+def block_of(prop: DataFrame, rows: DataFrame, chosen: DataFrame, normalise: bool | Column) -> DataFrame:
     """(batch_id, layer, dst, src, w): propagation entries between rows and chosen columns, scaled by the columns' ``coef``.
 
     Row selection is a join on the row id and column scaling a projection; neither matrix is built.
@@ -49,8 +54,9 @@ def block_of(prop: DataFrame, rows: DataFrame, chosen: DataFrame, normalise: boo
     near = prop.join(rows.select("batch_id", F.col("node_id").alias("row")), "row")
     cut = near.join(chosen.select("batch_id", "layer", F.col("node_id").alias("col"), "coef"), ["batch_id", "col"])
     block = cut.select("batch_id", "layer", F.col("row").alias("dst"), F.col("col").alias("src"), (F.col("w") * F.col("coef")).alias("w"))
-    if normalise:
-        block = block.withColumn("w", F.col("w") / F.sum("w").over(Window.partitionBy("batch_id", "layer", "dst")))
+    if normalise is not False:
+        even = F.col("w") / F.sum("w").over(Window.partitionBy("batch_id", "layer", "dst"))
+        block = block.withColumn("w", F.when(normalise, even).otherwise(F.col("w")) if isinstance(normalise, Column) else even)
     return block
 
 
@@ -59,18 +65,19 @@ class LayerSampler:
     """A layer-wise sampler for windows of batches; ``sizes`` from the layer below the seeds down to the inputs.
 
     FastGCN draws every layer from one measure and may leave rows empty. LADIES draws from the columns that the rows above touch, and normalises rows unless debiased
-    (normalising would undo the debiasing). ``keep`` (persist, spool) is applied to the chosen nodes of each layer (at most sizes x batches rows), so that several results over them share the work.
+    (normalising would undo the debiasing). ``flat`` and ``debias`` may be conditions on batch_id, so that one plan serves variants in batches of their own. ``keep`` (persist, spool) is applied to the chosen nodes of each layer (at most sizes x batches rows), so that several results over them share the work.
     """
 
     base: str = "ladies"
-    flat: bool = False
-    debias: bool = False
+    flat: bool | Column = False
+    debias: bool | Column = False
     replace: bool = False
     sizes: tuple[int, ...] = (512, 512)
     row_normalise: bool | None = None
     include_self: bool = True
     epoch: int = 0
     seed: int = 7
+    impl: str = "md5"
     keep: Callable[[DataFrame], DataFrame] | None = None
 
     @classmethod
@@ -80,10 +87,14 @@ class LayerSampler:
 
     def pool(self, prop: DataFrame, rows: DataFrame) -> DataFrame:
         """(batch_id, node_id, p) of the next layer."""
-        power = 1 if self.flat else 2
+        mixed = isinstance(self.flat, Column)
+        power = F.when(self.flat, 1).otherwise(2) if mixed else 1 if self.flat else 2
         if self.base == "fastgcn":
             batches = rows.select("batch_id").distinct().withColumn("k", F.lit(1))
-            return column_probs(prop, None, power).withColumn("k", F.lit(1)).join(F.broadcast(batches), "k").drop("k")
+            if not mixed:
+                return column_probs(prop, None, power).withColumn("k", F.lit(1)).join(F.broadcast(batches), "k").drop("k")
+            both = column_probs(prop, None, 2).join(column_probs(prop, None, 1).withColumnRenamed("p", "p1"), "node_id").withColumn("k", F.lit(1))
+            return both.join(F.broadcast(batches), "k").select("batch_id", "node_id", F.when(self.flat, F.col("p1")).otherwise(F.col("p")).alias("p"))
         return column_probs(prop if self.include_self else prop.where("row <> col"), rows, power)
 
     def draw(self, prop: DataFrame, rows: DataFrame, layer: int) -> DataFrame:
@@ -94,15 +105,22 @@ class LayerSampler:
                 raise ValueError("independent draws need one measure for all batches")
             return draws.importance_weights(draws.drawn_counts(draws.iid(column_probs(prop, None, 1 if self.flat else 2), rows, size, layer, self.epoch, self.seed)))
         pool = self.pool(prop, rows)
-        chosen = draws.race(pool, size, layer, self.epoch, self.seed)
-        if self.debias:
-            return draws.debias_weights(chosen, pool.where("p > 0").groupBy("batch_id").agg(F.count("*").alias("n")))
-        return draws.importance_weights(chosen)
+        chosen = draws.race(pool, size, layer, self.epoch, self.seed, self.impl)
+        if self.debias is False:
+            return draws.importance_weights(chosen)
+        debiased = draws.debias_weights(chosen, pool.where("p > 0").groupBy("batch_id").agg(F.count("*").alias("n")))
+        if self.debias is True:
+            return debiased
+        plain = draws.importance_weights(debiased.withColumnRenamed("coef", "debiased"))
+        return plain.withColumn("coef", F.when(self.debias, F.col("debiased")).otherwise(F.col("coef"))).drop("debiased")
 
     def layers(self, prop: DataFrame, seeds: DataFrame) -> tuple[list[DataFrame], list[DataFrame]]:
         """(chosen nodes, blocks) from the top layer down, in one plan for all batches."""
         rows, chosen, blocks = seeds.select("batch_id", "node_id").distinct(), [], []
-        normalise = self.row_normalise if self.row_normalise is not None else self.base == "ladies" and not self.debias
+        if self.row_normalise is not None or self.base != "ladies":
+            normalise = bool(self.row_normalise)
+        else:
+            normalise = ~self.debias if isinstance(self.debias, Column) else not self.debias
         for layer in reversed(range(len(self.sizes))):
             nodes = self.draw(prop, rows, layer)
             if self.keep:

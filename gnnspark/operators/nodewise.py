@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import uniform
@@ -15,12 +15,12 @@ def neighbour_rows(frontier: DataFrame, edges: DataFrame) -> DataFrame:
     return frontier.select("batch_id", F.col("node_id").alias("dst")).join(edges.select("dst", "src"), "dst")
 
 
-def sample_neighbors(frontier: DataFrame, edges: DataFrame, k: int, layer: int = 0, epoch: int = 0, seed: int = 7, replace: bool = False, prefer: DataFrame | None = None) -> DataFrame:
+def sample_neighbors(frontier: DataFrame, edges: DataFrame, k: int, layer: int = 0, epoch: int = 0, seed: int = 7, replace: bool = False, prefer: DataFrame | None = None, prefers: Column | None = None, impl: str = "md5") -> DataFrame:
     """(batch_id, layer, dst, src): at most ``k`` neighbours a node.
 
     Without replacement the ``k`` least uniforms win; the rank limit runs before and after the shuffle, so hubs lose all but
     ``k`` rows in every input partition. With ``replace`` draw t takes place floor(u deg) of the adjacency ordered by id.
-    ``prefer`` is a table of cached nodes that are taken first.
+    ``impl`` names the hash of the uniforms: ``md5`` agrees with other engines, ``xxhash64`` costs a fifth of it. ``prefer`` is a table of cached nodes that are taken first, in batches where ``prefers`` holds (all by default).
     """
     if replace:
         place = Window.partitionBy("dst").orderBy("src")
@@ -28,14 +28,15 @@ def sample_neighbors(frontier: DataFrame, edges: DataFrame, k: int, layer: int =
         ranked = near.select("dst", "src", F.row_number().over(place).alias("at"))
         deg = near.groupBy("dst").agg(F.count("*").alias("deg"))
         draws = frontier.select("batch_id", F.col("node_id").alias("dst"), F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("t")).join(deg, "dst")
-        u = uniform(seed, epoch, F.col("batch_id"), layer, F.col("dst"), F.col("t"))
+        u = uniform(seed, epoch, F.col("batch_id"), layer, F.col("dst"), F.col("t"), impl=impl)
         placed = draws.withColumn("at", (F.floor(u * F.col("deg")) + 1).cast("int"))
         return placed.join(ranked, ["dst", "at"]).select("batch_id", F.lit(layer).alias("layer"), "dst", "src", "t")
     rows = neighbour_rows(frontier, edges)
-    order = [uniform(seed, epoch, F.col("batch_id"), layer, F.col("dst"), F.col("src")), F.col("src")]
+    order = [uniform(seed, epoch, F.col("batch_id"), layer, F.col("dst"), F.col("src"), impl=impl), F.col("src")]
     if prefer is not None:
         rows = rows.join(prefer.select(F.col("node_id").alias("src"), F.lit(1).alias("cached")), "src", "left").withColumn("cached", F.coalesce("cached", F.lit(0)))
-        order = [F.col("cached").desc(), *order]
+        first = F.col("cached") if prefers is None else F.when(prefers, F.col("cached")).otherwise(0)
+        order = [first.desc(), *order]
     kept = rows.withColumn("r", F.row_number().over(Window.partitionBy("batch_id", "dst").orderBy(*order))).where(F.col("r") <= k)
     return kept.select("batch_id", F.lit(layer).alias("layer"), "dst", "src", *(["cached"] if prefer is not None else []))
 
@@ -49,15 +50,17 @@ def sage_weights(block: DataFrame) -> DataFrame:
     return block.withColumn("w", F.lit(1.0) / F.count("*").over(Window.partitionBy("batch_id", "layer", "dst")))
 
 
-def gcn_block(block: DataFrame, frontier: DataFrame, prop: DataFrame) -> DataFrame:
-    """(batch_id, layer, dst, src, w): propagation entries of kept neighbours times degree over kept, and each node's own entry."""
+def gcn_block(block: DataFrame, frontier: DataFrame, prop: DataFrame, layer: int) -> DataFrame:
+    """(batch_id, layer, dst, src, w): propagation entries of kept neighbours times degree over kept, and each node's own entry.
+
+    Nodes of the frontier without neighbours have their own entry only.
+    """
     deg = prop.where("row <> col").groupBy(F.col("row").alias("dst")).agg(F.count("*").alias("deg"))
     kept = F.count("*").over(Window.partitionBy("batch_id", "layer", "dst"))
     entries = prop.select(F.col("row").alias("dst"), F.col("col").alias("src"), "w")
     others = block.withColumn("kept", kept).join(entries, ["dst", "src"]).join(deg, "dst").select("batch_id", "layer", "dst", "src", (F.col("w") * F.col("deg") / F.col("kept")).alias("w"))
-    layer = block.select("layer").limit(1)
-    own = frontier.select("batch_id", F.col("node_id").alias("dst")).join(entries.where("dst = src"), "dst").withColumn("k", F.lit(1)).join(F.broadcast(layer.withColumn("k", F.lit(1))), "k")
-    return others.unionByName(own.select("batch_id", "layer", "dst", "src", "w"))
+    own = frontier.select("batch_id", F.col("node_id").alias("dst")).join(entries.where("dst = src"), "dst")
+    return others.unionByName(own.select("batch_id", F.lit(layer).alias("layer"), "dst", "src", "w"))
 
 
 def expand_full(seeds: DataFrame, edges: DataFrame, hops: int) -> DataFrame:
@@ -70,12 +73,12 @@ def expand_full(seeds: DataFrame, edges: DataFrame, hops: int) -> DataFrame:
     return out
 
 
-def node_wise_batches(seeds: DataFrame, edges: DataFrame, fanouts: list[int], epoch: int = 0, seed: int = 7, prefer: DataFrame | None = None, keep: Callable[[DataFrame], DataFrame] | None = None) -> tuple[list[DataFrame], list[DataFrame]]:
+def node_wise_batches(seeds: DataFrame, edges: DataFrame, fanouts: list[int], epoch: int = 0, seed: int = 7, prefer: DataFrame | None = None, prefers: Column | None = None, keep: Callable[[DataFrame], DataFrame] | None = None, impl: str = "md5") -> tuple[list[DataFrame], list[DataFrame]]:
     """Blocks from the seeds' layer down, and the frontier above each block; the last frontier holds the inputs. One plan for all batches, unless ``keep`` (persist, spool) cuts it after each layer."""
     frontiers, blocks = [seeds.select("batch_id", "node_id").distinct()], []
     for i, k in enumerate(fanouts):
         layer = len(fanouts) - 1 - i
-        block = sample_neighbors(frontiers[-1], edges, k, layer, epoch, seed, prefer=prefer)
+        block = sample_neighbors(frontiers[-1], edges, k, layer, epoch, seed, prefer=prefer, prefers=prefers, impl=impl)
         blocks.append(keep(block) if keep else block)
         block = blocks[-1]
         frontiers.append(next_frontier(frontiers[-1], block))

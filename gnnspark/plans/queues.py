@@ -58,15 +58,26 @@ class BoundedQueues:
         self.of = {(kind, w): queue.Queue(maxsize=size) for kind in kinds for w in range(workers)}
         self.most: dict[tuple[str, int], int] = dict.fromkeys(self.of, 0)
         self.lock = threading.Lock()
+        self.log: list[tuple[str, int, int, int]] = []
+
+    def resize(self, size: int) -> None:
+        """A new bound for the queues of batches; producers that wait see it at once."""
+        for (kind, _), q in self.of.items():
+            if kind != "gradient":
+                with q.mutex:
+                    q.maxsize = size
+                    q.not_full.notify_all()
+        self.size = size
 
-    def put(self, kind: str, worker: int, item) -> None:
+    def put(self, kind: str, worker: int, item, timeout: float | None = None) -> None:
         q = self.of[kind, worker]
-        q.put(item)
+        q.put(item, timeout=timeout)
         with self.lock:
             self.most[kind, worker] = max(self.most[kind, worker], q.qsize())
+            self.log.append((kind, worker, q.qsize(), self.size))
 
-    def get(self, kind: str, worker: int):
-        return self.of[kind, worker].get()
+    def get(self, kind: str, worker: int, timeout: float | None = None):
+        return self.of[kind, worker].get(timeout=timeout)
 
 
 __all__ = ["BoundedQueues", "STAGES", "adapt_queue", "batch_memory", "queue_cap", "queue_size", "queue_sweep"]

@@ -1,123 +1,100 @@
-"""Training: windows of batches are sampled and packaged by one Spark job each, and workers train on executors between resyncs.
+"""One training run over the cluster: a pipeline of three stages with queues between them, and workers that exchange late gradients.
 
-A worker is a group of rows. Between two resyncs it runs its batches in order in one task, from the model that all workers share;
-a job returns one model per worker, and the driver averages them (and the optimiser's moments). With a period of 1 every iteration is averaged:
-the synchronous method. ``piped`` prepares the next window in a thread while the present one trains. A window holds the batches of ``span`` epochs:
-an epoch is a part of the batch id, so longer windows mean fewer and larger jobs. The cache is drawn anew for each window.
+A sampling thread turns windows of epochs into blocks (one Spark job a layer for all batches of the window) and hands them to the host queue of each worker. A transfer thread per worker
+fetches the features of its batches and hands packaged batches to the worker's device queue. The compute stage takes one window from each device queue. With several workers each iteration is a
+job with one task a worker: batches stay on executors, and only gradients, which have the size of the model, reach the driver, where they pass the gradient queues to
+:class:`fleet.Fleet`. With one worker a window is one task that reads its batches in order, one Arrow batch at a time.
 
-Adjacency, propagation, labels, cache probabilities, sampled layers and packaged windows are tables in the shared folder: each plan stays as small as one layer,
-and a lost executor costs the tasks that it ran.
+The size of the queues follows the measured times of the windows so far, up to what memory allows beyond the measured peak of the compute tasks. Validation follows each window; a run stops early and keeps its best model. Windows are tables in the shared folder:
+plans stay small, a lost executor costs the tasks that it ran, and a window is deleted once it was used.
 """
 
 from __future__ import annotations
 
+import math
 import pickle
+import queue
+import resource
 import threading
 import time
-from dataclasses import dataclass, field, replace
+from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators import cache as C
-from ..operators import kernels, layerwise, nodewise
-from ..operators.propagation import propagation, split_of
-from ..functions.hashing import uniform
+from ..operators import kernels, sync
+from ..operators.fleet import Fleet, HashedDelays
 from ..sources.graphs import Graph
-from ..sources.spool import spool
+from ..sources.spool import Spool
+from .batches import NODE_WISE, Sizes, Stream, package, prepare, sampled, seeds_of, unpacked
 from .queues import BoundedQueues
 
-MODELS = ("gcn", "graphsage", *layerwise.VARIANTS)
-
 
 @dataclass
 class RunResult:
+    """What a run did: history rows (epoch, what, value), stage spans (worker, turn, stage, start, end) in seconds, ms by batch, the model, and the queues' sizes by turn."""
+
     model: str
     piped: bool
     workers: int
+    period: int
     history: list[tuple[int, str, float]] = field(default_factory=list)
-    timings: list[tuple[int, str, float, float]] = field(default_factory=list)
+    timings: list[tuple[int, int, str, float, float]] = field(default_factory=list)
+    batch_ms: list[float] = field(default_factory=list)
     params: list[np.ndarray] = field(default_factory=list)
     most_queued: dict = field(default_factory=dict)
+    queue_sizes: list[int] = field(default_factory=list)
+    peak_bytes: float = 0.0
+    fleet: Fleet | None = None
 
 
-def package(seeds: DataFrame, blocks: list[DataFrame], inputs: DataFrame, features: DataFrame, labels: DataFrame) -> DataFrame:
-    """One row a batch, bounded by the sampler's sizes: batch_id and the flat arrays of :meth:`kernels.Batch.of`, which Arrow hands over as numpy arrays.
-
-    Each feature row is fetched once a window. Null edge arrays: no edge was sampled. A batch none of whose inputs has features, or none of whose seeds has a label, is left out.
-    """
-    y = seeds.join(labels, "node_id").groupBy("batch_id").agg(F.sort_array(F.collect_list(F.struct("node_id", "y"))).alias("seeds"))
-    edges = blocks[0].select("batch_id", "layer", "dst", "src", "w")
-    for b in blocks[1:]:
-        edges = edges.unionByName(b.select("batch_id", "layer", "dst", "src", "w"))
-    e = edges.groupBy("batch_id").agg(F.sort_array(F.collect_list(F.struct("layer", "dst", "src", "w"))).alias("blocks"))
-    needed = features.join(inputs.select("node_id").distinct(), "node_id", "left_semi")
-    x = inputs.join(needed, "node_id").groupBy("batch_id").agg(F.sort_array(F.collect_list(F.struct("node_id", "f"))).alias("x"))
-    return y.join(x, "batch_id").join(e, "batch_id", "left").select("batch_id", *packed())
-
-
-def packed() -> list[Column]:
-    """Flat arrays from the columns seeds (node_id, y), blocks (layer, dst, src, w) and x (node_id, f), all arrays of structs."""
-    return [F.col("seeds.node_id").alias("seeds"), F.col("seeds.y").alias("y"), *[F.col(f"blocks.{c}").alias(c) for c in ("layer", "dst", "src", "w")], F.col("x.node_id").alias("inputs"), F.flatten("x.f").alias("x")]
-
-
-def sampled(model: str, g: Graph, prop: DataFrame, seeds: DataFrame, fanout: int, size: int, epoch: int, seed: int, cache: DataFrame | None = None):
-    """(blocks with weights, inputs) of a window of batches by one of the ten samplers."""
-    if model in ("gcn", "graphsage"):
-        raw, fronts = nodewise.node_wise_batches(seeds, g.edges, [fanout, fanout], epoch, seed, prefer=cache, keep=spool)
-        if model == "graphsage":
-            return [nodewise.sage_weights(b) for b in raw], fronts[-1]
-        return [nodewise.gcn_block(b, f, prop) for b, f in zip(raw, fronts)], fronts[-1]
-    s = layerwise.LayerSampler.named(model, sizes=(size, size), epoch=epoch, seed=seed, keep=spool)
-    chosen, blocks = s.layers(prop, seeds)
-    return blocks, chosen[-1].select("batch_id", "node_id").distinct()
-
+GRADIENTS = "worker int, state binary, loss double, ms double, peak long"
 
-def windows(nodes: DataFrame, per_epoch: int, epochs: list[int], seed: int) -> DataFrame:
-    """(batch_id, node_id): hash-bucketed batches of some epochs; epoch e has the ids from ``e * per_epoch`` on."""
-    each = nodes.select("node_id", F.explode(F.array(*map(F.lit, epochs))).alias("epoch"))
-    place = F.floor(uniform(seed, "batch", F.col("epoch"), F.col("node_id")) * per_epoch)
-    return each.select((F.col("epoch") * per_epoch + place).cast("long").alias("batch_id"), "node_id")
 
+def gradients(rows: DataFrame, models: list[list[np.ndarray]], sage: bool, worker) -> list:
+    """Loss and gradient of each batch on its worker's model, computed where the batch is."""
+    packed = pickle.dumps(models)
 
-def unpacked(row) -> kernels.Batch:
-    array = lambda v, kind: np.array([] if v is None else v, kind)
-    edges = array(row.layer, np.int64), array(row.dst, np.int64), array(row.src, np.int64), array(row.w, float)
-    return kernels.Batch.of(array(row.seeds, np.int64), array(row.y, np.int64), *edges, array(row.inputs, np.int64), array(row.x, float))
-
+    def go(parts):
+        held = pickle.loads(packed)
+        for pdf in parts:
+            for row in pdf.itertuples():
+                began = time.perf_counter()
+                loss, grads = kernels.loss_and_gradients(unpacked(row), held[row.worker], sage)
+                ms = 1000 * (time.perf_counter() - began)
+                yield pd.DataFrame([(row.worker, pickle.dumps(grads), loss, ms, resource.getrusage(resource.RUSAGE_SELF).ru_maxrss)], columns=["worker", "state", "loss", "ms", "peak"])
 
-def run_part(packaged: DataFrame, params, optimiser, sage: bool, workers: int) -> list[tuple]:
-    """Every worker's batches of ``packaged`` in one task each; the resulting models reach the driver."""
-    start = pickle.dumps((params, optimiser))
+    return rows.withColumn("worker", worker).repartitionById(len(models), F.col("worker")).mapInPandas(go, GRADIENTS).collect()
 
-    def go(pdf: pd.DataFrame) -> pd.DataFrame:
-        p, opt = pickle.loads(start)
-        total = 0.0
-        for row in pdf.sort_values("batch_id").itertuples():
-            loss, grads = kernels.loss_and_gradients(unpacked(row), p, sage)
-            p = opt.step(p, grads)
-            total += loss
-        return pd.DataFrame({"state": [pickle.dumps((p, opt))], "loss": [total / len(pdf)]})
 
-    keyed = packaged.withColumn("worker", (F.col("batch_id") % workers).cast("int"))
-    rows = keyed.groupBy("worker").applyInPandas(go, "state binary, loss double").collect()
-    return [(*pickle.loads(r["state"]), r["loss"]) for r in rows]
+def alone(rows: DataFrame, fleet: Fleet, sage: bool) -> list:
+    """One worker's batches in order in one task; the last row holds the resulting fleet."""
+    packed = pickle.dumps(fleet)
 
+    def go(parts):
+        mine, peak = pickle.loads(packed), 0
+        for pdf in parts:
+            out = []
+            for row in pdf.itertuples():
+                began = time.perf_counter()
+                loss, grads = kernels.loss_and_gradients(unpacked(row), mine.models[0], sage)
+                mine.iterate({0: grads})
+                peak = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss
+                out.append((0, b"", loss, 1000 * (time.perf_counter() - began), peak))
+            yield pd.DataFrame(out, columns=["worker", "state", "loss", "ms", "peak"])
+        yield pd.DataFrame([(-1, pickle.dumps(mine), 0.0, 0.0, peak)], columns=["worker", "state", "loss", "ms", "peak"])
 
-def averaged(states: list[tuple]) -> tuple[list[np.ndarray], kernels.Adam, float]:
-    """Resync: the mean of the workers' models and of their optimisers' moments."""
-    mean = lambda parts: [np.mean(list(p), axis=0) for p in zip(*parts)]
-    opt = kernels.Adam(states[0][1].rate, max(s[1].t for s in states), mean([s[1].m for s in states]), mean([s[1].v for s in states]))
-    return mean([s[0] for s in states]), opt, float(np.mean([s[2] for s in states]))
+    return rows.coalesce(1).sortWithinPartitions("batch_id").mapInPandas(go, GRADIENTS).collect()
 
 
 def evaluate(packaged: DataFrame, params, sage: bool) -> float:
     """Accuracy over packaged batches, scored on executors."""
 
-    def go(batches):
-        for pdf in batches:
+    def go(parts):
+        for pdf in parts:
             hit = n = 0
             for row in pdf.itertuples():
                 b = unpacked(row)
@@ -129,61 +106,169 @@ def evaluate(packaged: DataFrame, params, sage: bool) -> float:
     return told[0] / told[1] if told[1] else 0.0
 
 
-def train(g: Graph, features: DataFrame, labels: DataFrame, dims: tuple[int, int, int], model: str = "gcn", piped: bool = True, workers: int = 1, period: int = 1, epochs: int = 3, batch: int = 64, fanout: int = 5, size: int = 128, rate: float = 0.01, seed: int = 7, queue: int = 2, span: int = 1) -> RunResult:
-    """Train one of the ten samplers' models; the result holds loss per epoch, validation and test accuracy, and timings of windows."""
-    sage, cached = model == "graphsage", piped and model in ("gcn", "graphsage")
-    g = replace(g, nodes=spool(g.nodes), edges=spool(g.edges.select("dst", "src")))
-    prop = spool(propagation(g))
-    known = spool(labels.join(g.nodes.select("node_id", split_of(F.col("node_id"), g.name, seed).alias("split")), "node_id"))
-    parts = {s: known.where(F.col("split") == s).select("node_id") for s in ("train", "val", "test")}
-    per_epoch = {r["split"]: max(1, -(-r["count"] // batch)) for r in known.groupBy("split").count().collect()}
-    out, began = RunResult(model, piped, workers), time.time()
-    if cached:
-        cache_p, n_cache = spool(C.cache_probs(g, parts["train"])), C.cache_size(g.nodes.count(), 0.01)
-
-    def prepared(split: str, some: list[int], use_cache: bool) -> DataFrame:
+def window_bytes(packaged: DataFrame) -> float:
+    """Bytes of the largest batch of a window."""
+    size = F.coalesce(F.size("layer"), F.lit(0)) * 28 + F.size("x") * 4 + (F.size("inputs") + F.size("seeds")) * 8
+    return float(packaged.agg(F.max(size)).first()[0] or 1)
+
+
+def train(g: Graph, features: DataFrame, labels: DataFrame, dims: tuple[int, int, int], model: str = "gcn", piped: bool = True, workers: int = 1, period: int | None = None, epochs: int = 3, span: int = 1, batch: int = 64, fanout: int = 5, size: int = 512, rate: float = 0.001, seed: int = 7, queue_size: int = 2, memory: float = 8e9, delta: float = 0.01, patience: int = 200) -> RunResult:
+    """Train one model. ``piped``: overlapped stages, the cache for node-wise models and stale exchange with a resync every ``period`` iterations (by
+    default the graph's); otherwise one stage after another, no cache, and gradients averaged in every iteration. ``span`` epochs make a window."""
+    spark, sage = g.edges.sparkSession, model == "graphsage"
+    keep, sizes = Spool(spark), Sizes(batch, fanout, size, epochs)
+    stream = Stream(model, piped and model in NODE_WISE, seed)
+    x = prepare(g, labels, sizes, keep, seed)
+    if period is None:
+        edges = x.g.edges.count()
+        period = sync.sync_period(x.g.nodes.count(), edges if g.directed else edges // 2, workers)
+    period = period if piped else 1
+    seeds, ids, counts = seeds_of(x.known, [stream], sizes)
+    y = x.known.select("node_id", "y")
+    turns = [(low, min(low + span, epochs)) for low in range(0, epochs, span)]
+    out, began = RunResult(model, piped, workers, period), time.time()
+    out.fleet = Fleet(kernels.init(dims, sage, seed), kernels.Adam(rate), workers, period, HashedDelays(workers, seed) if piped else None)
+    queues, stop, failed, threads = BoundedQueues(queue_size, workers), threading.Event(), [], []
+    place = F.col("batch_id") % ids.width
+    worker = (place % workers).cast("int")
+
+    def spanned(w: int, turn: int, stage: str, what):
         t = time.time()
-        cache = C.build_cache(cache_p, n_cache, some[0], seed) if use_cache else None
-        seeds = windows(parts[split], per_epoch.get(split, 1), some, seed)
-        blocks, inputs = sampled(model, g, prop, seeds, fanout, size, 0, seed, cache)
-        ready = spool(package(seeds, blocks, inputs, features, known.select("node_id", "y")))
-        out.timings.append((some[0], "sampling", t - began, time.time() - began))
-        return ready
-
-    params, opt = kernels.init(dims, sage, seed), kernels.Adam(rate)
-    queues = BoundedQueues(queue, workers)
-    turns = [list(range(low, min(low + span, epochs))) for low in range(0, epochs, span)]
-
-    def produce():
+        done = what()
+        out.timings.append((w, turn, stage, t - began, time.time() - began))
+        return done
+
+    def blocks(low: int, high: int, turn: int, use_cache: bool):
+        cache = keep(C.build_cache(x.cache_p, x.cache_size, turn, seed)) if use_cache else None
+        mine = keep(seeds.where(ids.epoch(F.col("batch_id")).between(low, high - 1)))
+        edges, inputs = sampled(x.g, x.prop, mine, ids, [stream], sizes, cache, keep, seed)
+        return mine, keep(edges), keep(inputs)
+
+    def packaged(three, only=None) -> DataFrame:
+        mine = [df if only is None else df.where(only) for df in three]
+        return keep(package(*mine, features, y).repartitionByRange("batch_id").sortWithinPartitions("batch_id"))
+
+    def put(kind: str, w: int, item) -> bool:
+        while not stop.is_set():
+            try:
+                queues.put(kind, w, item, 0.2)
+                return True
+            except queue.Full:
+                continue
+        return False
+
+    def get(kind: str, w: int):
+        while not stop.is_set():
+            try:
+                return queues.get(kind, w, 0.2)
+            except queue.Empty:
+                continue
+        return None
+
+    def guarded(work, *args):
         try:
-            for some in turns:
-                queues.put("host", 0, prepared("train", some, cached))
-        except Exception as problem:  # handed to the consumer, which would wait for ever otherwise
-            queues.put("host", 0, problem)
+            work(*args)
+        except Exception as problem:  # handed to the compute stage, which would wait for ever otherwise
+            failed.append(problem)
+            stop.set()
+
+    def sampling():
+        for turn, (low, high) in enumerate(turns):
+            three = spanned(0, turn, "sampling", lambda: blocks(low, high, turn, stream.cached))  # noqa: B023
+            for w in range(workers):
+                if not put("host", w, three):
+                    return
+
+    def transfer(w: int):
+        for turn in range(len(turns)):
+            three = get("host", w)
+            if three is None or not put("device", w, spanned(w, turn, "transfer", lambda: packaged(three, worker == w))):  # noqa: B023
+                return
 
     if piped:
         from pyspark import InheritableThread
 
-        thread: threading.Thread = InheritableThread(target=produce, daemon=True)
-        thread.start()
-    n = per_epoch.get("train", 1)
-    step = min(n, workers * period) if workers > 1 else n
-    for some in turns:
-        window = queues.get("host", 0) if piped else prepared("train", some, False)
-        if isinstance(window, Exception):
-            raise window
-        t = time.time()
-        for e in some:
-            losses = []
-            for low in range(e * n, (e + 1) * n, step):
-                states = run_part(window.where(F.col("batch_id").between(low, min(low + step, (e + 1) * n) - 1)), params, opt, sage, workers)
-                if states:
-                    params, opt, loss = averaged(states)
-                    losses.append(loss)
+        for target in ((sampling,), *((transfer, w) for w in range(workers))):
+            threads.append(InheritableThread(target=guarded, args=target, daemon=True))
+            threads[-1].start()
+
+    def window(turn: int) -> list[DataFrame]:
+        if piped:
+            return [get("device", w) for w in range(workers)]
+        low, high = turns[turn]
+        three = spanned(0, turn, "sampling", lambda: blocks(low, high, turn, False))
+        return [spanned(0, turn, "transfer", lambda: packaged(three))]
+
+    def compute(parts: list[DataFrame], low: int, high: int) -> None:
+        rows = parts[0]
+        for p in parts[1:]:
+            rows = rows.unionByName(p)
+        for e in range(low, high):
+            losses, first = [], int(e * ids.width)
+            if workers == 1:
+                told = alone(rows.where(F.col("batch_id").between(first, first + ids.width - 1)), out.fleet, sage)
+                states = [t for t in told if t["worker"] < 0]
+                out.fleet = pickle.loads(states[-1]["state"]) if states else out.fleet
+                note(told, losses)
+            for t in range(first, first + counts.get("train", 1), workers) if workers > 1 else ():
+                told = gradients(rows.where(F.col("batch_id").between(t, t + workers - 1)), out.fleet.models, sage, worker)
+                for one in told:  # a gradient queue per worker, emptied by the exchange
+                    queues.put("gradient", one["worker"], pickle.loads(one["state"]))
+                if told:
+                    out.fleet.iterate({one["worker"]: queues.get("gradient", one["worker"]) for one in told})
+                note(told, losses)
             out.history.append((e, "loss", float(np.mean(losses)) if losses else float("nan")))
-        out.timings.append((some[0], "compute", t - began, time.time() - began))
-    for split in ("val", "test"):
-        held = prepared(split, [epochs], False)
-        out.history.append((epochs, split, evaluate(held, params, sage)))
-    out.params, out.most_queued = params, dict(queues.most)
+
+    def note(told, losses: list[float]) -> None:
+        real = [t for t in told if t["worker"] >= 0]
+        losses += [t["loss"] for t in real]
+        out.batch_ms += [t["ms"] for t in real]
+        out.peak_bytes = max([out.peak_bytes, *(1024.0 * t["peak"] for t in told)])
+
+    held = {}
+
+    def score(split: str, params) -> float:
+        if split not in held:
+            at = epochs + (split == "test")
+            held[split] = packaged(blocks(at, at + 1, len(turns), False))
+        return evaluate(held[split], params, sage)
+
+    best, reference, last_gain = (-1.0, out.fleet.mean_model()), None, 0
+    try:
+        for turn, (low, high) in enumerate(turns):
+            parts = window(turn)
+            if failed:
+                raise failed[0]
+            spanned(0, turn, "compute", lambda: compute(parts, low, high))  # noqa: B023
+            value = score("val", out.fleet.mean_model())
+            out.history.append((high - 1, "val", value))
+            queues.resize(tuned(out.timings, queue_size, memory, out.peak_bytes, window_bytes(parts[0]) * counts.get("train", 1) * span / len(parts)))
+            out.queue_sizes.append(queues.size)
+            if value > best[0]:
+                best = value, out.fleet.mean_model()
+            if reference is None or value - reference >= delta - 1e-9:
+                reference, last_gain = value, len(out.batch_ms)
+            elif len(out.batch_ms) - last_gain >= patience:
+                out.history.append((high - 1, "stop", float(len(out.batch_ms))))
+                break
+        out.params = best[1]
+        out.history.append((epochs, "test", score("test", best[1])))
+    finally:
+        stop.set()
+        for thread in threads:
+            thread.join()
+        keep.close()
+    out.most_queued = dict(queues.most)
     return out
+
+
+def tuned(timings: list[tuple[int, int, str, float, float]], least: int, memory: float, peak: float, one: float, margin: float = 0.10) -> int:
+    """The queue size from measured spans: the longest preparation over the mean computation, within what memory leaves beyond the measured peak."""
+    took: dict[tuple[str, int], float] = {}
+    for _, turn, stage, start, end in timings:
+        took[stage, turn] = max(took.get((stage, turn), 0.0), end - start)
+    compute = [v for (stage, _), v in took.items() if stage == "compute"]
+    prep = [took.get(("sampling", t), 0.0) + v for (stage, t), v in took.items() if stage == "transfer"]
+    raw = math.ceil(max(prep, default=0.0) / (sum(compute) / len(compute))) if compute else least
+    cap = math.floor((memory - peak * (1 + margin)) / max(one, 1.0))
+    return max(1, min(cap, max(2, raw)))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import base, caching, graphs, relational, running, sampling, streams, workloads  # noqa: F401
+from . import base, caching, graphs, relational, running, sampling, streams, training, workloads  # noqa: F401
 
 
 def queries():

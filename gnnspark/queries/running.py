@@ -276,7 +276,7 @@ def udf_forward(spark, d):
     import pandas as pd
 
     from ..operators import kernels
-    from ..plans.train import packed, unpacked
+    from ..plans.batches import packed, unpacked
 
     n = Net(spark, d)
     e = n.inner.select(F.lit(0).alias("layer"), "dst", "src", "w").union(n.outer.select(F.lit(1), "dst", "src", "w")).agg(F.sort_array(F.collect_list(F.struct("layer", "dst", "src", "w"))).alias("blocks"))

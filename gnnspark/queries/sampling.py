@@ -52,7 +52,7 @@ def sage_weights(spark, d):
 @query(sql([*SQL, ns_sql("b1", "s", 1)], "SELECT b.batch_id, 1 AS layer, dst, src, round(w * deg / count(*) OVER (PARTITION BY b.batch_id, dst), 6) AS w FROM b1 b JOIN p ON row = dst AND col = src JOIN (SELECT dst AS v, count(*) AS deg FROM a GROUP BY dst) ON v = dst UNION ALL SELECT batch_id, 1, node_id, node_id, round(w, 6) FROM s JOIN p ON row = node_id AND col = node_id"))
 def gcn_block(spark, d):
     x = Setup(spark, d, BASE)
-    return nodewise.gcn_block(nodewise.sample_neighbors(x.seeds, x.g.edges, FANOUT, 1), x.seeds, x.prop).withColumn("w", r6("w"))
+    return nodewise.gcn_block(nodewise.sample_neighbors(x.seeds, x.g.edges, FANOUT, 1), x.seeds, x.prop, 1).withColumn("w", r6("w"))
 
 
 FULL = ["h1 AS MATERIALIZED (SELECT batch_id, node_id FROM s UNION SELECT batch_id, src FROM s JOIN a ON dst = node_id)", "h2 AS MATERIALIZED (SELECT batch_id, node_id FROM h1 UNION SELECT batch_id, src FROM h1 JOIN a ON dst = node_id)"]

@@ -74,12 +74,6 @@ def scaling_pivot(spark, d):
     return rounded(M.scaling(all_workers(spark, d).where("piped = 1")), "t1", "t2", "t3", "t4", "eff4")
 
 
-@query(f"SELECT model, dataset, workers, round(max(bytes) FILTER (piped = 1) - max(bytes) FILTER (piped = 0), 6)::DOUBLE AS points FROM ({all_workers_sql()}) GROUP BY ALL")
-def metric_change(spark, d):
-    r = all_workers(spark, d).withColumn("metric", F.col("bytes").cast("double"))
-    return rounded(M.metric_change(r), "points")
-
-
 for _name, _how in (("results_cube", "CUBE (model, dataset)"), ("results_rollup", "ROLLUP (model, dataset)"), ("results_sets", "GROUPING SETS ((model), (dataset), ())")):
 
     @query(f"SELECT model, dataset, count(*) AS n, round(avg(training_ms), 6) AS ms FROM ({all_workers_sql()}) GROUP BY {_how}", _name)
@@ -173,37 +167,3 @@ def wl_cache_ablation(spark, d):
 @query(f"SELECT variant, round(rmse, 4) AS rmse, round(bias, 4) AS bias FROM ({_err_sql(ERR_VARIANTS)})")
 def wl_variant_error(spark, d):
     return estimator_runs(spark, d, ERR_VARIANTS).select("variant", F.round(r6("rmse"), 4).alias("rmse"), F.round(r6("bias"), 4).alias("bias"))
-
-
-def train_docs(spark, d, model, piped, workers, epochs=12, span=6, **more):
-    """One measured training run over the document graph: languages from hashed trigrams."""
-    from ..plans.train import train
-    from ..sources.features import document_trigrams
-    from ..sources.graphs import key, load_graph
-    from ..sources.spool import spool
-    from ..sources.tables import read
-
-    labels = read(spark, d, "documents", "doc_id", "lang").where("lang is not null")
-    names = [r[0] for r in labels.select("lang").distinct().orderBy("lang").limit(64).collect()]
-    y = F.coalesce(*[F.when(F.col("lang") == n, F.lit(i)) for i, n in enumerate(names)])
-    feats = spool(document_trigrams(spark, d, 100))
-    return train(load_graph(spark, d, "docs_lex"), feats, labels.select(key("document", "doc_id").alias("node_id"), y.alias("y")), (100, 32, len(names)), model, piped, workers, epochs=epochs, span=span, rate=0.03, **more)
-
-
-@query()
-def wl_train_accuracy(spark, d):
-    """(model, piped, workers, majority, loss, val, test) of four measured runs: serial with one worker; piped, cached, two workers, equal models every four iterations.
-
-    Trained networks are not SQL; tests compare gradients with differences, and accuracy with the share of the most frequent language.
-    """
-    from ..sources.tables import read
-
-    counts = [r["count"] for r in read(spark, d, "documents", "lang").where("lang is not null").groupBy("lang").count().collect()]
-    rows = []
-    for model in TWO:
-        for piped in (False, True):
-            workers = 1 + piped
-            run = train_docs(spark, d, model, piped, workers, batch=32, period=4)
-            last = {k: float(v) for _, k, v in run.history}
-            rows.append((model, int(piped), workers, max(counts) / sum(counts), last["loss"], last["val"], last["test"]))
-    return spark.createDataFrame(rows, "model string, piped int, workers int, majority double, loss double, val double, test double")

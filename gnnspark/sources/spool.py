@@ -10,11 +10,37 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def scratch(spark: SparkSession, kind: str) -> str:
-    """A fresh folder below the shared one, or below the temporary folder where none is named."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "checkpoints", "gnnspark")
+    """A fresh folder below the shared one; in local mode, where all tasks share it, below the temporary folder if none is named."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = os.path.join(tempfile.gettempdir(), "checkpoints", "gnnspark")
     return f"{base.rstrip('/')}/{kind}-{uuid.uuid4().hex}"
 
 
+def remove(spark: SparkSession, folder: str) -> None:
+    """Delete a folder that nothing reads any more, on whatever file system it is."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+class Spool:
+    """Tables of one run below one folder, so that all of them can go at once."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.folder, self.n = spark, scratch(spark, "spool"), 0
+
+    def __call__(self, df: DataFrame) -> DataFrame:
+        self.n += 1
+        where = f"{self.folder}/{uuid.uuid4().hex}"
+        df.write.parquet(where)
+        return self.spark.read.schema(df.schema).parquet(where)
+
+    def close(self) -> None:
+        remove(self.spark, self.folder)
+
+
 def spool(df: DataFrame) -> DataFrame:
     """Write ``df`` once as Parquet and read it from there. Plans over it stay small, however many steps made it."""
     where = scratch(df.sparkSession, "spool")
