@@ -61,11 +61,18 @@ def cache_size(n: int, share: float) -> int:
     return max(1, int(share * n + 1e-9))
 
 
-def build_cache(probs: DataFrame, size: int, epoch: int = 0, seed: int = 7) -> DataFrame:
-    """(epoch, node_id, p, ord): a weighted draw without replacement, new for each epoch. The top-k keeps ``size`` rows a partition."""
-    key = race_key(uniform(seed, "cache", epoch, F.col("node_id")), F.col("p"))
-    top = probs.where("p > 0").select("node_id", "p", key.alias("key")).orderBy("key", "node_id").limit(size)
-    return top.select(F.lit(epoch).alias("epoch"), "node_id", "p", F.row_number().over(Window.orderBy("key", "node_id")).alias("ord"))
+def build_cache(probs: DataFrame, size: int, epoch: int = 0, seed: int = 7, impl: str = "md5") -> DataFrame:
+    """(epoch, node_id, p, ord): a weighted draw without replacement, new for each epoch.
+
+    Race keys are counted by cells of their logarithm; whole cells are in or out, and ``ord`` is a cell's offset plus the place inside it, so no task sorts all nodes or all cached ones.
+    """
+    key = race_key(uniform(seed, "cache", epoch, F.col("node_id"), impl=impl), F.col("p"))
+    keyed = probs.where("p > 0").select("node_id", "p", key.alias("key")).withColumn("cell", F.floor(F.log("key") * 256).cast("int"))
+    above = Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
+    cells = keyed.groupBy("cell").agg(F.count("*").alias("n")).select("cell", F.coalesce(F.sum("n").over(above), F.lit(0)).alias("before")).where(F.col("before") < size)
+    inside = F.row_number().over(Window.partitionBy("cell").orderBy("key", "node_id"))
+    ranked = keyed.join(F.broadcast(cells), "cell").withColumn("ord", (F.col("before") + inside).cast("int"))
+    return ranked.where(F.col("ord") <= size).select(F.lit(epoch).alias("epoch"), "node_id", "p", "ord")
 
 
 def split_inputs(inputs: DataFrame, cache: DataFrame) -> DataFrame:

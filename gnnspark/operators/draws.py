@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import race_key, uniform
+from .prefix import running
 
 
 def race(pool: DataFrame, size: int, layer: int, epoch: int = 0, seed: int = 7, impl: str = "md5") -> DataFrame:
@@ -19,19 +22,9 @@ def race(pool: DataFrame, size: int, layer: int, epoch: int = 0, seed: int = 7,
     return ranked.where(F.col("ord") <= size)
 
 
-def prefix_sums(probs: DataFrame, cells: int = 256) -> DataFrame:
-    """(node_id, p, low, high): cumulative p in node order, in two levels so that no window spans all nodes.
-
-    Nodes are cut into ranges of equal id width; sums of ranges (``cells`` rows) give each range its offset.
-    """
-    bounds = probs.agg(F.min("node_id").alias("lo"), F.max("node_id").alias("hi")).first()
-    lo, width = bounds["lo"] or 0, max(1, -(-((bounds["hi"] or 0) - (bounds["lo"] or 0) + 1) // cells))
-    placed = probs.withColumn("cell", F.floor((F.col("node_id") - F.lit(lo)) / F.lit(width)))
-    upto = Window.orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
-    offset = placed.groupBy("cell").agg(F.sum("p").alias("s")).select("cell", F.coalesce(F.sum("s").over(upto), F.lit(0.0)).alias("offset"))
-    inside = Window.partitionBy("cell").orderBy("node_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    summed = placed.withColumn("run", F.sum("p").over(inside)).join(F.broadcast(offset), "cell")
-    return summed.select("node_id", "p", (F.col("offset") + F.col("run") - F.col("p")).alias("low"), (F.col("offset") + F.col("run")).alias("high"))
+def prefix_sums(probs: DataFrame, cells: int = 64) -> DataFrame:
+    """(node_id, p, low, high): cumulative p in node order, in two levels (:mod:`prefix`) whose cells hold alike many nodes whatever their ids."""
+    return running(probs.select("node_id", "p"), ["node_id"], F.col("p"), cells).select("node_id", "p", F.col("before").alias("low"), (F.col("before") + F.col("p")).alias("high"))
 
 
 def iid(probs: DataFrame, batches: DataFrame, size: int, layer: int, epoch: int = 0, seed: int = 7, slots: int = 1024) -> DataFrame:
@@ -47,6 +40,28 @@ def iid(probs: DataFrame, batches: DataFrame, size: int, layer: int, epoch: int
     return drawn.join(spread, "slot").where("low <= u and u < high").select("batch_id", F.lit(layer).alias("layer"), "t", "node_id", "p")
 
 
+def arrivals(probs: DataFrame, batches: DataFrame, size: int, layer: int, epoch: int = 0, seed: int = 7, factor: int = 4, keep: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+    """(batch_id, layer, node_id, p, ord): ``size`` nodes a batch without replacement, from one measure for all batches.
+
+    The order of first arrivals among independent draws is that of sequential weighted draws without replacement, so ``factor`` x ``size`` draws a batch do the work
+    of a race over batches x nodes. Batches that met too few nodes draw on, with twice as many draws each time; the first draws stay the same.
+    """
+    want = min(size, probs.where("p > 0").limit(size).count())
+    left, out = batches.select("batch_id").distinct(), None
+    while want:
+        drawn = iid(probs, left, factor * size, layer, epoch, seed).groupBy("batch_id", "layer", "node_id", "p").agg(F.min("t").alias("t"))
+        ranked = drawn.withColumn("ord", F.row_number().over(Window.partitionBy("batch_id").orderBy("t"))).where(F.col("ord") <= size).drop("t")
+        ranked = keep(ranked) if keep else ranked
+        full = ranked.groupBy("batch_id").agg(F.count("*").alias("n")).where(F.col("n") >= want)
+        done = ranked.join(full.select("batch_id"), "batch_id", "left_semi")
+        out = done if out is None else out.union(done)
+        left = left.join(full, "batch_id", "left_anti")
+        if left.isEmpty():
+            return out
+        factor *= 2
+    return batches.sparkSession.createDataFrame([], "batch_id long, layer int, node_id long, p double, ord int")
+
+
 def drawn_counts(draws: DataFrame) -> DataFrame:
     """(batch_id, layer, node_id, p, times) of independent draws."""
     return draws.groupBy("batch_id", "layer", "node_id").agg(F.first("p").alias("p"), F.count("*").alias("times"))

@@ -65,13 +65,14 @@ class LayerSampler:
     """A layer-wise sampler for windows of batches; ``sizes`` from the layer below the seeds down to the inputs.
 
     FastGCN draws every layer from one measure and may leave rows empty. LADIES draws from the columns that the rows above touch, and normalises rows unless debiased
-    (normalising would undo the debiasing). ``flat`` and ``debias`` may be conditions on batch_id, so that one plan serves variants in batches of their own. ``keep`` (persist, spool) is applied to the chosen nodes of each layer (at most sizes x batches rows), so that several results over them share the work.
+    (normalising would undo the debiasing). ``by_arrival`` draws FastGCN's layers from independent draws in order of arrival instead of a race of all nodes in each batch: the form for many batches of a large graph. ``flat`` and ``debias`` may be conditions on batch_id, so that one plan serves variants in batches of their own. ``keep`` (persist, spool) is applied to the chosen nodes of each layer (at most sizes x batches rows), so that several results over them share the work.
     """
 
     base: str = "ladies"
     flat: bool | Column = False
     debias: bool | Column = False
     replace: bool = False
+    by_arrival: bool = False
     sizes: tuple[int, ...] = (512, 512)
     row_normalise: bool | None = None
     include_self: bool = True
@@ -104,6 +105,13 @@ class LayerSampler:
             if self.base != "fastgcn":
                 raise ValueError("independent draws need one measure for all batches")
             return draws.importance_weights(draws.drawn_counts(draws.iid(column_probs(prop, None, 1 if self.flat else 2), rows, size, layer, self.epoch, self.seed)))
+        if self.by_arrival:
+            if self.base != "fastgcn" or isinstance(self.flat, Column) or isinstance(self.debias, Column):
+                raise ValueError("draws by arrival need one measure for all batches")
+            probs = column_probs(prop, None, 1 if self.flat else 2)
+            chosen = draws.arrivals(probs, rows, size, layer, self.epoch, self.seed, keep=self.keep)
+            n = probs.where("p > 0").count() if self.debias else 0
+            return draws.debias_weights(chosen, F.lit(n)) if self.debias else draws.importance_weights(chosen)
         pool = self.pool(prop, rows)
         chosen = draws.race(pool, size, layer, self.epoch, self.seed, self.impl)
         if self.debias is False:

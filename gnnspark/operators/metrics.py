@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .prefix import running
+
 
 def trimmed(timings: DataFrame, trim: int = 20, by: str = "run") -> DataFrame:
     """Rows (run, k, ms) without the first and last ``trim`` of each run."""
@@ -36,10 +38,9 @@ def f1(pred: DataFrame) -> DataFrame:
 
 
 def roc_auc(scores: DataFrame) -> DataFrame:
-    """(auc) of rows (y in 0/1, score), ties at mean rank. Counts are summed by distinct score first, so the one window runs over distinct scores."""
+    """(auc) of rows (y in 0/1, score), ties at mean rank. Counts are summed by distinct score first, and ranks are running sums in two levels."""
     by = scores.groupBy("score").agg(F.sum("y").alias("pos"), F.count("*").alias("n"))
-    below = F.coalesce(F.sum("n").over(Window.orderBy("score").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    ranked = by.withColumn("rank", below + (F.col("n") + 1) / 2.0)
+    ranked = running(by, ["score"], F.col("n")).withColumn("rank", F.col("before") + (F.col("n") + 1) / 2.0)
     told = ranked.agg(F.sum(F.col("rank") * F.col("pos")).alias("r"), F.sum("pos").alias("p"), F.sum(F.col("n") - F.col("pos")).alias("q"))
     return told.select(((F.col("r") - F.col("p") * (F.col("p") + 1) / 2.0) / (F.col("p") * F.col("q"))).alias("auc"))
 

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import functions as F
 
 from ..operators import cache as C
 from ..operators import nodewise
 from ..operators.propagation import split_of
 from ..sources.graphs import load_graph
+from ..sources.spool import spool
 from .base import BATCHES, FANOUT, Setup, graph_sql, query, r6, seeds_sql, split_sql, sql, u_sql
 from .sampling import front_sql, ns_sql
 
@@ -43,8 +46,14 @@ def draw_sql(out: str, size: str, epoch: int = 0, probs: str = "cprob") -> str:
 ONE_PERCENT = "(SELECT greatest(1, floor(0.01 * count(*) + 1e-9)) FROM n)"
 
 
-def graph_and_train(spark, d, name):
+def held_graph(spark, d, name):
+    """The graph with its tables written once: every use of them is a scan."""
     g = load_graph(spark, d, name)
+    return replace(g, nodes=spool(g.nodes), edges=spool(g.edges))
+
+
+def graph_and_train(spark, d, name):
+    g = held_graph(spark, d, name)
     return g, g.nodes.where(split_of(F.col("node_id"), name) == "train").select("node_id")
 
 
@@ -54,7 +63,7 @@ def one_percent(g, share: float = 0.01) -> int:
 
 @query(sql([*graph_sql(GRAPH), DEG, degree_sql()], "SELECT node_id, round(p, 9) AS p FROM cprob"))
 def cache_probs_degree(spark, d):
-    return C.cache_probs_degree(load_graph(spark, d, GRAPH)).select("node_id", F.round("p", 9).alias("p"))
+    return C.cache_probs_degree(held_graph(spark, d, GRAPH)).select("node_id", F.round("p", 9).alias("p"))
 
 
 for _name, _steps, _how in (("cache_probs_walk1", 1, "printed"), ("cache_probs_walk2", 2, "printed"), ("cache_probs_walk_expander", 2, "expander")):
@@ -75,13 +84,13 @@ def cache_mode_auto(spark, d):
 
 @query(sql([*graph_sql(GRAPH), DEG, degree_sql(), draw_sql("ch", ONE_PERCENT)], "SELECT epoch, node_id, ord FROM ch"))
 def cache_nodes(spark, d):
-    g = load_graph(spark, d, GRAPH)
+    g = held_graph(spark, d, GRAPH)
     return C.build_cache(C.cache_probs_degree(g), one_percent(g)).select("epoch", "node_id", "ord")
 
 
 @query(sql([*graph_sql(GRAPH), DEG, degree_sql(), draw_sql("c0", ONE_PERCENT), draw_sql("c1", ONE_PERCENT, 1)], "SELECT (SELECT count(*) FROM c0) AS size, count(*) AS kept FROM c0 JOIN c1 USING (node_id)"))
 def cache_refresh_overlap(spark, d):
-    g = load_graph(spark, d, GRAPH)
+    g = held_graph(spark, d, GRAPH)
     p, size = C.cache_probs_degree(g), one_percent(g)
     a, b = C.build_cache(p, size, 0), C.build_cache(p, size, 1)
     n = a.agg(F.count("*").alias("size")).withColumn("k", F.lit(1))
@@ -99,7 +108,7 @@ CACHED = [*graph_sql(GRAPH), DEG, degree_sql(), draw_sql("ch", ONE_PERCENT), see
 
 class CacheSetup:
     def __init__(self, spark, d, prefer: bool, policy: str = "degree", share: float = 0.01):
-        self.g = load_graph(spark, d, GRAPH)
+        self.g = held_graph(spark, d, GRAPH)
         from ..operators.batching import hashed_seeds
 
         self.seeds = hashed_seeds(self.g.nodes.where(DOCS), BATCHES, 16)
@@ -132,7 +141,7 @@ def gather_missing(spark, d):
 
 @query(sql([*CACHED], "SELECT count(*) AS nodes, sum(c)::BIGINT AS covered, round(avg(c), 6) AS share FROM (SELECT dst, max((src IN (SELECT node_id FROM ch))::INT) AS c FROM a GROUP BY dst)"))
 def cache_coverage(spark, d):
-    g = load_graph(spark, d, GRAPH)
+    g = held_graph(spark, d, GRAPH)
     return C.coverage(g, C.build_cache(C.cache_probs_degree(g), one_percent(g)))
 
 

@@ -185,6 +185,13 @@ def fastgcn_draw_wor(spark, d):
     return sampler("fastgcn").draw(x.prop, x.seeds, 1).select("batch_id", "layer", "node_id", "ord")
 
 
+@query(sql([*SQL, colp_sql(2), _prefix_sql(), f"dr AS (SELECT batch_id, t, {u_sql(7, 0, 'batch_id', 1, 't')} AS u FROM (SELECT DISTINCT batch_id FROM s), (SELECT unnest(range({4 * SIZE}))::INT AS t))", "fa AS (SELECT batch_id, node_id, min(t) AS t FROM dr JOIN ps ON low <= u AND u < high GROUP BY ALL)"], f"SELECT batch_id, 1 AS layer, node_id, ord::INT AS ord FROM (SELECT *, row_number() OVER (PARTITION BY batch_id ORDER BY t) AS ord FROM fa) WHERE ord <= {SIZE}"))
+def fastgcn_draw_arrivals(spark, d):
+    """Without replacement by order of arrival: no product of batches and nodes."""
+    x = Setup(spark, d, BASE)
+    return sampler("fastgcn", by_arrival=True).draw(x.prop, x.seeds, 1).select("batch_id", "layer", "node_id", "ord")
+
+
 @query(sql([*SQL, *layers_sql("ladies")], "SELECT batch_id, layer, node_id, ord FROM d1 UNION ALL SELECT batch_id, layer, node_id, ord FROM d0"))
 def ladies_draw(spark, d):
     x = Setup(spark, d, BASE)

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import os
+import shutil
 import tempfile
 import uuid
 
@@ -16,7 +18,19 @@ def scratch(spark: SparkSession, kind: str) -> str:
         if not spark.sparkContext.master.startswith("local"):
             raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = os.path.join(tempfile.gettempdir(), "checkpoints", "gnnspark")
-    return f"{base.rstrip('/')}/{kind}-{uuid.uuid4().hex}"
+    where = f"{base.rstrip('/')}/{kind}-{uuid.uuid4().hex}"
+    _made.append(where)
+    return where
+
+
+_made: list[str] = []
+
+
+@atexit.register
+def _clean() -> None:
+    """At the end of the driver its folders go, where they are local; elsewhere :func:`remove` or the store's own expiry deletes them."""
+    for where in _made:
+        shutil.rmtree(where.removeprefix("file:"), ignore_errors=True)
 
 
 def remove(spark: SparkSession, folder: str) -> None:
