@@ -1,24 +1,25 @@
-"""Experiment workloads on the cost clock: batch statistics of a sampler over a graph, then base and piped runs for a number of workers."""
+"""Experiment workloads on the cost clock: a sampler's batch statistics over a whole epoch of a graph, then base and piped runs for numbers of workers."""
 
 from __future__ import annotations
 
 from concurrent.futures import ThreadPoolExecutor
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.hashing import uniform
 from ..operators import cache as C
 from ..operators import layerwise, nodewise
-from ..operators.batching import hashed_seeds
-from ..operators.propagation import propagation
+from ..operators.propagation import propagation, split_of
 from ..sources.graphs import load_graph
+from ..sources.spool import spool
 from .schedule import STAGES, cost_clock, makespans, schedule, synchronous
 
 DATASETS = ("cust_supp", "emb_knn", "part_pair", "cust_part")
 SHAPES = {"cust_supp": (8, 2), "emb_knn": (64, 10), "part_pair": (128, 2), "cust_part": (16, 2)}
-HIDDEN, BATCHES, SEEDS, FANOUT, SIZE = 64, 8, 16, 5, 32
+HIDDEN, BATCH, FANOUT, SIZE = 64, 64, 5, 512
 SHARE_MS = 0.1
-_memo: dict[tuple, list] = {}
 
 
 def _counts(parts: list[tuple[str, DataFrame]]) -> DataFrame:
@@ -32,78 +33,78 @@ def _counts(parts: list[tuple[str, DataFrame]]) -> DataFrame:
     return wide.fillna(0)
 
 
-class Prepared:
-    """What all samplers share on one graph, kept for a session: seeds, degrees, the cache, and the propagation table."""
-
-    kept: dict[tuple, "Prepared"] = {}
-
-    def __init__(self, spark: SparkSession, d: str, dataset: str):
-        g = load_graph(spark, d, dataset)
-        self.edges = g.edges.persist()
-        self.nodes = g.nodes.persist()
-        g.edges, g.nodes = self.edges, self.nodes
-        self.prop = propagation(g).persist()
-        self.seeds = hashed_seeds(self.nodes, BATCHES, SEEDS).persist()
-        self.deg = C.in_degrees(self.edges).persist()
-        self.cache = C.build_cache(C.cache_probs_degree(g), C.cache_size(self.nodes.count(), 0.01)).persist()
-
-    @classmethod
-    def of(cls, spark: SparkSession, d: str, dataset: str) -> "Prepared":
-        key = (spark.sparkContext.applicationId, d, dataset)
-        if key not in cls.kept:
-            cls.kept[key] = cls(spark, d, dataset)
-        return cls.kept[key]
-
-
-def batch_stats(spark: SparkSession, d: str, dataset: str, model: str) -> DataFrame:
-    """(batch_id, touched, edges, inputs, missing, act, flops): what a batch costs, by one of the ten samplers."""
-    x = Prepared.of(spark, d, dataset)
-    seeds, deg, cache = x.seeds, x.deg, x.cache
-    if model in ("gcn", "graphsage"):
-        blocks, fronts = nodewise.node_wise_batches(seeds, x.edges, [FANOUT, FANOUT], keep=DataFrame.persist)
-        rows, inputs, extra = fronts[1], fronts[2], 0
-    else:
-        chosen, blocks = layerwise.LayerSampler.named(model, sizes=(SIZE, SIZE), keep=DataFrame.persist).layers(x.prop, seeds)
-        rows, inputs, extra = chosen[0].select("batch_id", "node_id"), chosen[1].select("batch_id", "node_id"), 1
-    touched = seeds.union(rows.select("batch_id", "node_id")).join(deg, "node_id", "left").select("batch_id", (F.coalesce("deg", F.lit(0)) + extra).alias("n"))
-    told = _counts([("touched", touched), ("e1", blocks[0]), ("e0", blocks[1]), ("r1", seeds), ("r0", rows), ("inputs", inputs), ("missing", inputs.join(cache, "node_id", "left_anti"))])
-    (d0, classes), m = SHAPES[dataset], 2 if model == "graphsage" else 1
-    flops = F.col("e0") * d0 + F.col("r0") * (m * d0 * HIDDEN) + F.col("e1") * HIDDEN + F.col("r1") * (m * HIDDEN * classes)
-    return told.select("batch_id", "touched", (F.col("e0") + F.col("e1")).alias("edges"), "inputs", "missing", (F.col("r0") * HIDDEN + F.col("r1") * classes).alias("act"), flops.alias("flops"))
-
-
-def kept_stats(spark: SparkSession, d: str, dataset: str, model: str) -> DataFrame:
-    """The statistics of the eight experiment batches, computed once a session: they do not depend on the number of workers."""
-    key = (spark.sparkContext.applicationId, d, dataset, model)
-    if key not in _memo:
-        _memo[key] = [tuple(r) for r in batch_stats(spark, d, dataset, model).limit(BATCHES).collect()]
-    return spark.createDataFrame(_memo[key], "batch_id long, touched long, edges long, inputs long, missing long, act long, flops long")
-
-
-def costs_of(stats: DataFrame, width: int, workers: int, piped: bool) -> DataFrame:
+def epoch_stats(spark: SparkSession, d: str, dataset: str, models: tuple[str, ...]) -> DataFrame:
+    """(model, batch_id, touched, edges, inputs, missing, act, flops): what each batch of an epoch costs, written once.
+
+    The batches are those of the whole training split. Layer-wise models of one family share a plan: model i has the batch ids from i times the number of batches on.
+    The node-wise models share their very samples, which have the ids of the first model.
+    """
+    g = load_graph(spark, d, dataset)
+    g = replace(g, nodes=spool(g.nodes), edges=spool(g.edges.select("dst", "src")))
+    train = g.nodes.where(split_of(F.col("node_id"), dataset) == "train").select("node_id")
+    n = max(1, -(-train.count() // BATCH))
+    deg, cache = spool(C.in_degrees(g.edges)), spool(C.build_cache(C.cache_probs_degree(g), C.cache_size(g.nodes.count(), 0.01)))
+    place = F.floor(uniform(7, "batch", 0, F.col("node_id")) * n).cast("long")
+    seeds = spool(train.select(F.explode(F.array(*map(F.lit, range(len(models))))).alias("i"), "node_id", place.alias("p")).select((F.col("i") * n + F.col("p")).alias("batch_id"), "node_id"))
+    of = lambda test: F.floor(F.col("batch_id") / n).isin([i for i, m in enumerate(models) if test(m)])
+    prop, out = None, None
+    for family in ("node", "fastgcn", "ladies"):
+        mine = [m for m in models if (m in layerwise.VARIANTS and m.startswith(family)) or (family == "node" and m not in layerwise.VARIANTS)]
+        if not mine:
+            continue
+        here = seeds.where(of(lambda m: m in mine) if family != "node" else of(lambda m: m == mine[0]))  # noqa: B023
+        if family == "node":
+            blocks, fronts = nodewise.node_wise_batches(here, g.edges, [FANOUT, FANOUT], keep=spool)
+            rows, inputs, extra = fronts[1], fronts[2], 0
+        else:
+            prop = prop if prop is not None else spool(propagation(g))
+            flat, debias = (of(lambda m, x=x: m in mine and layerwise.VARIANTS[m][x]) for x in (1, 2))  # noqa: B023
+            chosen, blocks = layerwise.LayerSampler(family, flat, debias, sizes=(SIZE, SIZE), keep=spool).layers(prop, here)
+            rows, inputs, extra = chosen[0].select("batch_id", "node_id"), chosen[1].select("batch_id", "node_id"), 1
+        touched = here.union(rows.select("batch_id", "node_id")).join(deg, "node_id", "left").select("batch_id", (F.coalesce("deg", F.lit(0)) + extra).alias("n"))
+        told = _counts([("touched", touched), ("e1", blocks[0]), ("e0", blocks[1]), ("r1", here), ("r0", rows), ("inputs", inputs), ("missing", inputs.join(cache, "node_id", "left_anti"))])
+        if family == "node":
+            told = told.withColumn("batch_id", F.explode(F.array(*[(F.col("batch_id") % n + models.index(m) * n).cast("long") for m in mine])))
+        out = told if out is None else out.unionByName(told)
+    (d0, classes), model = SHAPES[dataset], F.element_at(F.array(*map(F.lit, models)), (F.floor(F.col("batch_id") / n) + 1).cast("int"))
+    m = F.when(model == "graphsage", 2).otherwise(1)
+    flops = F.col("e0") * d0 + F.col("r0") * m * (d0 * HIDDEN) + F.col("e1") * HIDDEN + F.col("r1") * m * (HIDDEN * classes)
+    return spool(out.select(model.alias("model"), (F.col("batch_id") % n).alias("batch_id"), "touched", (F.col("e0") + F.col("e1")).alias("edges"), "inputs", "missing", (F.col("r0") * HIDDEN + F.col("r1") * classes).alias("act"), flops.alias("flops")))
+
+
+def all_stats(spark: SparkSession, d: str, datasets: tuple[str, ...], models: tuple[str, ...]) -> list[DataFrame]:
+    """The statistics by data set: jobs of one fill the slots that those of another leave."""
+    with ThreadPoolExecutor(len(datasets)) as pool:
+        return list(pool.map(lambda x: epoch_stats(spark, d, x, models), datasets))
+
+
+def one_model(spark: SparkSession, d: str, dataset: str, model: str) -> DataFrame:
+    """The statistics of one model's epoch."""
+    return epoch_stats(spark, d, dataset, (model,)).drop("model")
+
+
+def costs_of(stats: DataFrame, width: int, workers: int, piped: bool, run=None) -> DataFrame:
     """(run, worker, k, sampling, transfer, compute, share, bytes)."""
     bytes_ = (F.col("missing") if piped else F.col("inputs")) * width * 4
     clock = cost_clock(stats.withColumn("bytes", bytes_))
-    return clock.select(F.lit(0).alias("run"), (F.col("batch_id") % workers).cast("int").alias("worker"), F.floor(F.col("batch_id") / workers).alias("k"), *STAGES, F.lit(SHARE_MS * (workers - 1)).alias("share"), "bytes")
+    return clock.select((F.lit(0) if run is None else run).alias("run"), (F.col("batch_id") % workers).cast("int").alias("worker"), F.floor(F.col("batch_id") / workers).alias("k"), *STAGES, F.lit(SHARE_MS * (workers - 1)).alias("share"), "bytes")
 
 
-def workload(spark: SparkSession, d: str, models: tuple[str, ...], workers: int, datasets: tuple[str, ...] = DATASETS) -> DataFrame:
-    """(model, dataset, workers, piped, batch_ms, training_ms, bytes): base runs are serial and synchronous, piped runs overlap all stages."""
+def workload(spark: SparkSession, d: str, models: tuple[str, ...], workers: int | tuple[int, ...], datasets: tuple[str, ...] = DATASETS) -> DataFrame:
+    """(model, dataset, workers, piped, batches, batch_ms, training_ms, bytes) of an epoch: base runs are serial and synchronous, piped runs overlap all stages.
+
+    Statistics do not depend on the number of workers; models are runs of one plan.
+    """
     out = None
-    for dataset in datasets:
-        Prepared.of(spark, d, dataset)
-    with ThreadPoolExecutor(4) as pool:  # independent small jobs: planning of one overlaps with running of another
-        list(pool.map(lambda pair: kept_stats(spark, d, *pair), [(x, m) for x in datasets for m in models]))
-    for dataset in datasets:
-        for model in models:
-            stats = kept_stats(spark, d, dataset, model)
+    for dataset, stats in zip(datasets, all_stats(spark, d, datasets, models)):
+        for g in (workers,) if isinstance(workers, int) else workers:
             for piped in (False, True):
-                costs = costs_of(stats, SHAPES[dataset][0], workers, piped)
+                costs = costs_of(stats, SHAPES[dataset][0], g, piped, F.col("model"))
                 if piped:
                     spans = makespans(schedule(costs, "pipelined", None, (*STAGES, "share")), "share")
                 else:
-                    spans = synchronous(costs, F.lit(SHARE_MS * (workers - 1)))
+                    spans = synchronous(costs, F.lit(SHARE_MS * (g - 1)))
                 size = costs.groupBy("run").agg(F.count("*").alias("n"), F.sum("bytes").alias("bytes"))
-                one = spans.join(size, "run").select(F.lit(model).alias("model"), F.lit(dataset).alias("dataset"), F.lit(workers).alias("workers"), F.lit(int(piped)).alias("piped"), (F.col("makespan") / F.col("n")).alias("batch_ms"), F.col("makespan").alias("training_ms"), "bytes")
+                one = spans.join(size, "run").select(F.col("run").alias("model"), F.lit(dataset).alias("dataset"), F.lit(g).alias("workers"), F.lit(int(piped)).alias("piped"), F.col("n").alias("batches"), (F.col("makespan") / F.col("n")).alias("batch_ms"), F.col("makespan").alias("training_ms"), "bytes")
                 out = one if out is None else out.union(one)
     return out

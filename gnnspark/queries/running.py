@@ -15,18 +15,21 @@ from ..plans import workloads as W
 from ..sources.features import embedding_features, exploded
 from ..sources.graphs import NAMES, load_graph
 from ..sources.tables import read
-from .base import graph_sql, prop_sql, query, r6, seeds_sql, sql, u_sql
-from .caching import DEG, ONE_PERCENT, degree_sql, draw_sql
+from .base import graph_sql, prop_sql, query, r6, sql, u_sql
+from .caching import DEG, ONE_PERCENT, degree_sql, draw_sql, train_sql
 from .sampling import TWO_HOPS, layers_sql
 
 # ---- batch statistics and the cost clock ----
 
 
-def stats_sql(dataset: str, model: str) -> str:
-    """A query for (batch_id, touched, edges, inputs, missing, act, flops)."""
-    (d0, classes), m = W.SHAPES[dataset], 2 if model == "graphsage" else 1
+def stats_sql(dataset: str, model: str, models: tuple[str, ...] | None = None) -> str:
+    """A query for (batch_id, touched, edges, inputs, missing, act, flops) of an epoch."""
+    (d0, classes), m, models = W.SHAPES[dataset], 2 if model == "graphsage" else 1, models or (model,)
     node = model in ("gcn", "graphsage")
-    ctes = [*(graph_sql(dataset) if node else prop_sql(dataset)), seeds_sql(), DEG, degree_sql(), draw_sql("ch", ONE_PERCENT), *(TWO_HOPS if node else layers_sql(model))]
+    i = next(k for k, x in enumerate(models) if x == model or node and x in ("gcn", "graphsage"))
+    lots = f"(SELECT greatest(1, ceil(count(*) / {W.BATCH}.0))::BIGINT FROM tr)"
+    seeds = f"s AS MATERIALIZED (SELECT {i} * {lots} + floor({u_sql(7, chr(39) + 'batch' + chr(39), 0, 'node_id')} * {lots})::BIGINT AS batch_id, node_id FROM tr)"
+    ctes = [*(graph_sql(dataset) if node else prop_sql(dataset)), train_sql(dataset), seeds, DEG, degree_sql(), draw_sql("ch", ONE_PERCENT), *(TWO_HOPS if node else layers_sql(model, size=W.SIZE))]
     b1, b0, rows, inputs, extra = ("b1", "b0", "f1", "f0", 0) if node else ("k1", "k0", "c1", "c0", 1)
     per = lambda t, n="count(*)", more="": f"(SELECT batch_id, {n} AS n FROM {t} {more} GROUP BY batch_id)"
     touched = f"(SELECT batch_id, sum(coalesce(deg, 0) + {extra}) AS n FROM (SELECT batch_id, node_id FROM s UNION ALL SELECT batch_id, node_id FROM {rows}) LEFT JOIN dg USING (node_id) GROUP BY batch_id)"
@@ -34,7 +37,7 @@ def stats_sql(dataset: str, model: str) -> str:
     joins = " ".join(f"LEFT JOIN {q} {k} ON {k}.batch_id = z.batch_id" for k, q in names.items())
     c = {k: f"coalesce({k}.n, 0)" for k in names}
     flops = f"{c['e0']} * {d0} + {c['r0']} * {m * d0 * W.HIDDEN} + {c['e1']} * {W.HIDDEN} + {c['r1']} * {m * W.HIDDEN * classes}"
-    return sql(ctes, f"SELECT z.batch_id, {c['t']}::BIGINT AS touched, {c['e1']} + {c['e0']} AS edges, {c['i']} AS inputs, {c['ms']} AS missing, {c['r0']} * {W.HIDDEN} + {c['r1']} * {classes} AS act, ({flops})::BIGINT AS flops FROM (SELECT DISTINCT batch_id FROM s) z {joins}")
+    return sql(ctes, f"SELECT z.batch_id % {lots} AS batch_id, {c['t']}::BIGINT AS touched, {c['e1']} + {c['e0']} AS edges, {c['i']} AS inputs, {c['ms']} AS missing, {c['r0']} * {W.HIDDEN} + {c['r1']} * {classes} AS act, ({flops})::BIGINT AS flops FROM (SELECT DISTINCT batch_id FROM s) z {joins}")
 
 
 def costs_sql(stats: str, width: int, workers: int, piped: bool) -> str:
@@ -57,7 +60,7 @@ FINISH = "SELECT run, worker, k, " + ", ".join(f"round(finish_{s}, 6) AS finish_
 
 
 def costs(spark, d, workers: int = 2):
-    return W.costs_of(W.kept_stats(spark, d, "cust_part", "gcn"), 16, workers, False)
+    return W.costs_of(W.one_model(spark, d, "cust_part", "gcn"), 16, workers, False)
 
 
 def rounded(df, *names):
@@ -153,7 +156,7 @@ def queue_size(spark, d):
 
 @query(f"SELECT 0 AS run, floor((1e6 - 2e5 * 1.1) / max(inputs * 64 + edges * 20 + act * 4))::BIGINT AS cap FROM ({stats_sql('cust_part', 'gcn')}) UNION ALL SELECT 1, floor((24576 - 730.95 * 1.1) / 100.0)::BIGINT")
 def queue_cap(spark, d):
-    stats = Q.batch_memory(W.kept_stats(spark, d, "cust_part", "gcn").withColumn("run", F.lit(0)), 16)
+    stats = Q.batch_memory(W.one_model(spark, d, "cust_part", "gcn").withColumn("run", F.lit(0)), 16)
     literal = spark.range(1).select(F.lit(1).alias("run"), F.lit(100.0).alias("mem"))
     return Q.queue_cap(stats, 1e6, 2e5).union(Q.queue_cap(literal, 24576, 730.95))
 
@@ -165,7 +168,7 @@ def queue_adapt(spark, d):
 
 @query(f"SELECT batch_id, inputs * 64 + edges * 20 + act * 4 AS mem FROM ({stats_sql('cust_part', 'gcn')})")
 def batch_memory(spark, d):
-    return Q.batch_memory(W.kept_stats(spark, d, "cust_part", "gcn"), 16).select("batch_id", "mem")
+    return Q.batch_memory(W.one_model(spark, d, "cust_part", "gcn"), 16).select("batch_id", "mem")
 
 
 @query("SELECT 1 AS queue_bound_ok")

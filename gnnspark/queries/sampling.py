@@ -126,13 +126,13 @@ def block_sql(out: str, rows: str, chosen: str, normalise: bool) -> str:
     return f"{out} AS MATERIALIZED ({text})"
 
 
-def layers_sql(variant: str, layers: int = 2) -> list[str]:
+def layers_sql(variant: str, layers: int = 2, size: int = SIZE) -> list[str]:
     """CTEs c1, k1 (chosen and block below the seeds), c0, k0."""
     base, flat, debias = layerwise.VARIANTS[variant]
     power, normalise = (1 if flat else 2), base == "ladies" and not debias
     out, rows = ([colp_sql(power)] if base == "fastgcn" else []), "s"
     for layer in reversed(range(layers)):
-        out += [pool_sql(f"q{layer}", rows, base, power), race_sql(f"d{layer}", f"q{layer}", layer), coef_sql(f"c{layer}", f"d{layer}", f"q{layer}", debias), block_sql(f"k{layer}", rows, f"c{layer}", normalise)]
+        out += [pool_sql(f"q{layer}", rows, base, power), race_sql(f"d{layer}", f"q{layer}", layer, size), coef_sql(f"c{layer}", f"d{layer}", f"q{layer}", debias), block_sql(f"k{layer}", rows, f"c{layer}", normalise)]
         rows = f"c{layer}"
     return out
 

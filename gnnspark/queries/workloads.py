@@ -16,19 +16,23 @@ from .sampling import ERR_VARIANTS, _err_sql, estimator_runs
 FAMILIES = {"ns": ("gcn", "graphsage"), "fastgcn": ("fastgcn", "fastgcn_f", "fastgcn_d", "fastgcn_fd"), "ladies": ("ladies", "ladies_f", "ladies_d", "ladies_fd")}
 
 
-def workload_sql(models, workers: int, datasets=W.DATASETS) -> str:
-    parts = []
+def workload_sql(models, workers, datasets=W.DATASETS) -> str:
+    """Statistics once a model and dataset, then costs and schedules for each number of workers."""
+    ctes, parts = [], []
     for dataset in datasets:
         for model in models:
-            stats, width = stats_sql(dataset, model), W.SHAPES[dataset][0]
-            base, piped = costs_sql(stats, width, workers, False), costs_sql(stats, width, workers, True)
-            head = f"SELECT '{model}' AS model, '{dataset}' AS dataset, {workers} AS workers"
-            parts.append(f"{head}, 0 AS piped, (sum(t) + count(*) * {W.SHARE_MS * (workers - 1)}) / sum(n) AS batch_ms, sum(t) + count(*) * {W.SHARE_MS * (workers - 1)} AS training_ms, sum(b)::BIGINT AS bytes FROM (SELECT k, max(sampling + transfer + compute) AS t, count(*) AS n, sum(bytes) AS b FROM ({base}) GROUP BY k)")
-            parts.append(f"{head}, 1, max(finish_share) / count(*), max(finish_share), sum(bytes)::BIGINT FROM ({piped_sql(piped, (*S.STAGES, 'share'))})")
-    return " UNION ALL ".join(parts)
+            st, width = f"st_{dataset}_{model}", W.SHAPES[dataset][0]
+            ctes.append(f"{st} AS MATERIALIZED ({stats_sql(dataset, model, models)})")
+            for g in (workers,) if isinstance(workers, int) else workers:
+                base, piped = costs_sql(f"SELECT * FROM {st}", width, g, False), costs_sql(f"SELECT * FROM {st}", width, g, True)
+                head = f"SELECT '{model}' AS model, '{dataset}' AS dataset, {g} AS workers"
+                share = W.SHARE_MS * (g - 1)
+                parts.append(f"{head}, 0 AS piped, sum(n)::BIGINT AS batches, (sum(t) + count(*) * {share}) / sum(n) AS batch_ms, sum(t) + count(*) * {share} AS training_ms, sum(b)::BIGINT AS bytes FROM (SELECT k, max(sampling + transfer + compute) AS t, count(*) AS n, sum(bytes) AS b FROM ({base}) GROUP BY k)")
+                parts.append(f"{head}, 1, count(*), max(finish_share) / count(*), max(finish_share), sum(bytes)::BIGINT FROM ({piped_sql(piped, (*S.STAGES, 'share'))})")
+    return f"WITH {', '.join(ctes)} " + " UNION ALL ".join(parts)
 
 
-ROUNDED = "SELECT model, dataset, workers, piped, round(batch_ms, 9) AS batch_ms, round(training_ms, 6) AS training_ms, bytes FROM ({})"
+ROUNDED = "SELECT model, dataset, workers, piped, batches, round(batch_ms, 9) AS batch_ms, round(training_ms, 6) AS training_ms, bytes FROM ({})"
 
 for _family, _models in FAMILIES.items():
     for _g in range(1, 5):
@@ -41,16 +45,15 @@ for _family, _models in FAMILIES.items():
 SMALL, TWO = ("cust_supp", "emb_knn"), ("gcn", "graphsage")
 
 
+EVERY = (1, 2, 3, 4)
+
+
 def all_workers(spark, d, models=TWO, datasets=SMALL):
-    out = None
-    for g in range(1, 5):
-        one = W.workload(spark, d, models, g, datasets)
-        out = one if out is None else out.union(one)
-    return out
+    return W.workload(spark, d, models, EVERY, datasets)
 
 
 def all_workers_sql(models=TWO, datasets=SMALL) -> str:
-    return " UNION ALL ".join(f"SELECT * FROM ({workload_sql(models, g, datasets)})" for g in range(1, 5))
+    return workload_sql(models, EVERY, datasets)
 
 
 SPEEDUPS = f"SELECT model, dataset, workers, max(training_ms) FILTER (piped = 0) / max(training_ms) FILTER (piped = 1) AS speedup FROM ({all_workers_sql()}) GROUP BY model, dataset, workers"
@@ -108,7 +111,7 @@ def _util_sql(piped: bool) -> str:
 @query(f"SELECT piped, round(busy, 6) AS busy, round(makespan, 6) AS makespan FROM ({_util_sql(False)} UNION ALL {_util_sql(True)})")
 def wl_utilisation(spark, d):
     """Compute utilisation of a framework that only prefetches samples, and of the full pipeline with its cache."""
-    stats, out = W.kept_stats(spark, d, "part_pair", "gcn"), None
+    stats, out = W.one_model(spark, d, "part_pair", "gcn"), None
     for piped in (False, True):
         c = W.costs_of(stats, W.SHAPES["part_pair"][0], 1, piped)
         f = S.schedule(c, "pipelined" if piped else "prefetch").join(c.select("k", "compute"), "k")
@@ -120,8 +123,8 @@ def wl_utilisation(spark, d):
 @query(" UNION ALL ".join(f"SELECT '{n}' AS run, raw, size, memory_bound FROM ({_QSIZE.format(cap=16, src=costs_sql(stats_sql(n, 'gcn'), W.SHAPES[n][0], 1, False))})" for n in W.DATASETS))
 def wl_queue_sizes(spark, d):
     out = None
-    for n in W.DATASETS:
-        c = W.costs_of(W.kept_stats(spark, d, n, "gcn"), W.SHAPES[n][0], 1, False).withColumn("run", F.lit(n))
+    for n, stats in zip(W.DATASETS, W.all_stats(spark, d, W.DATASETS, ("gcn",))):
+        c = W.costs_of(stats, W.SHAPES[n][0], 1, False).withColumn("run", F.lit(n))
         one = Q.queue_size(c, 16)
         out = one if out is None else out.union(one)
     return out
