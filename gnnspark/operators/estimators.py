@@ -17,11 +17,13 @@ def estimator_error(blocks: DataFrame, exact: DataFrame, scalar: DataFrame) -> D
     ``rmse``: root of the mean squared Frobenius error over seeds, relative to the exact product; ``bias``: that of the mean estimate.
     """
     truth = products(exact, scalar, []).withColumnRenamed("z", "truth")
-    runs = blocks.select("variant", "seed").distinct()
-    n = runs.groupBy("variant").agg(F.count("*").alias("seeds"))
+    n = blocks.groupBy("variant").agg(F.count_distinct("seed").alias("seeds"))
     est = products(blocks, scalar, ["variant", "seed"])
-    every = runs.withColumn("k", F.lit(1)).join(truth.withColumn("k", F.lit(1)), "k").drop("k")
-    both = every.join(est, ["variant", "seed", "dst", "pos"], "left").withColumn("e", F.coalesce("z", F.lit(0.0)) - F.col("truth"))
-    cell = both.groupBy("variant", "dst", "pos").agg(F.sum("e").alias("se"), F.sum(F.col("e") * F.col("e")).alias("see"), F.first("truth").alias("truth")).join(n, "variant")
-    total = cell.groupBy("variant").agg(F.sum(F.col("see") / F.col("seeds")).alias("mse"), F.sum(F.pow(F.col("se") / F.col("seeds"), 2)).alias("b2"), F.sum(F.pow("truth", 2)).alias("t2"))
-    return total.select("variant", F.sqrt(F.col("mse") / F.col("t2")).alias("rmse"), F.sqrt(F.col("b2") / F.col("t2")).alias("bias"), F.sqrt((F.col("mse") - F.col("b2")) / F.col("t2")).alias("spread"))
+    cell = est.groupBy("variant", "dst", "pos").agg(F.sum("z").alias("s"), F.sum(F.col("z") * F.col("z")).alias("ss")).join(truth, ["dst", "pos"]).join(n, "variant")
+    mean, square = F.col("s") / F.col("seeds"), F.col("ss") / F.col("seeds")
+    # beyond truth squared, which a cell without an estimate adds alone: runs and cells need no product
+    more = cell.groupBy("variant").agg(F.sum(square - 2 * F.col("truth") * mean).alias("mse"), F.sum(mean * mean - 2 * F.col("truth") * mean).alias("b2"))
+    whole = truth.agg(F.sum(F.col("truth") * F.col("truth")).alias("t2")).withColumn("one", F.lit(1))
+    summed = more.withColumn("one", F.lit(1)).join(F.broadcast(whole), "one")
+    total = summed.select("variant", "t2", *[F.greatest(F.col(c) + F.col("t2"), F.lit(0.0)).alias(c) for c in ("mse", "b2")])
+    return total.select("variant", F.sqrt(F.col("mse") / F.col("t2")).alias("rmse"), F.sqrt(F.col("b2") / F.col("t2")).alias("bias"), F.sqrt(F.greatest(F.col("mse") - F.col("b2"), F.lit(0.0)) / F.col("t2")).alias("spread"))

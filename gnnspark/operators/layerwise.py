@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import draws
+from .model import apply_nn
 
 VARIANTS = {f"{base}{'_' if x else ''}{x}": (base, "f" in x, "d" in x) for base in ("fastgcn", "ladies") for x in ("", "f", "d", "fd")}
 
@@ -46,6 +47,11 @@ def activation_probs(prop: DataFrame, norms: DataFrame, rows: DataFrame | None =
     return held.withColumn("k", F.lit(1)).join(F.broadcast(total), "k").select("node_id", (F.col("h") / F.col("total")).alias("p"))
 
 
+def activation_norms(x: DataFrame, w: DataFrame) -> DataFrame:
+    """(node_id, h): row norms of features (node_id, pos, x) times weights (i, j, w), for :func:`activation_probs`."""
+    return apply_nn(x, w).groupBy("node_id").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("h"))
+
+
 def block_of(prop: DataFrame, rows: DataFrame, chosen: DataFrame, normalise: bool | Column) -> DataFrame:
     """(batch_id, layer, dst, src, w): propagation entries between rows and chosen columns, scaled by the columns' ``coef``.
 

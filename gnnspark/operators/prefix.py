@@ -23,6 +23,16 @@ def with_cells(df: DataFrame, cell: Column, value: Column, order: list[str]) ->
     return summed.withColumn("before", F.col("__offset") + F.col("__in")).drop("__offset", "__in", "__value")
 
 
+def places(df: DataFrame, by: str, order: str, cells: int = 64) -> DataFrame:
+    """Adds ``at``: the place of a row, from 1, among those of its ``by`` in the order of numeric ``order``. A hot key is ranked cell by cell; its offsets are at most ``cells`` rows."""
+    placed = df.withColumn("cell", quantile_cells(df, order, cells))
+    above = Window.partitionBy(by).orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
+    offset = placed.groupBy(by, "cell").agg(F.count("*").alias("n")).select(by, "cell", F.coalesce(F.sum("n").over(above), F.lit(0)).alias("offset"))
+    inside = F.row_number().over(Window.partitionBy(by, "cell").orderBy(order))
+    ranked = placed.withColumn("inside", inside).join(offset, [by, "cell"])
+    return ranked.withColumn("at", F.col("offset") + F.col("inside")).drop("cell", "offset", "inside")
+
+
 def running(df: DataFrame, order: list[str], value: Column, cells: int = 64) -> DataFrame:
     """Adds ``before``: the sum of ``value`` over the rows before, in the order of numeric ``order[0]``, then the others."""
     return with_cells(df, quantile_cells(df, order[0], cells), value, order).drop("cell")

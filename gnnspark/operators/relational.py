@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -43,3 +45,36 @@ def reachable(edges: DataFrame, seeds: DataFrame, most: int = 10) -> DataFrame:
         new = edges.join(seen.where(F.col("hops") == hop - 1), F.col("dst") == F.col("node_id")).select(F.col("src").alias("node_id")).distinct().join(seen, "node_id", "left_anti")
         seen = seen.union(new.select("node_id", F.lit(hop).alias("hops")))
     return seen
+
+
+def pandas_norm(vector) -> Column:
+    """Euclidean norms of a column of arrays by a pandas function."""
+
+    @F.pandas_udf("double")
+    def norms(v: pd.Series) -> pd.Series:
+        return v.map(lambda a: None if a is None else float(np.sqrt(np.square(np.asarray(a, float)).sum())))
+
+    return norms(vector)
+
+
+def pandas_median(value, times) -> Column:
+    """The median of a group's values, each ``times`` times, by a pandas aggregate. A group is the distinct values of a key."""
+
+    @F.pandas_udf("double")
+    def median(v: pd.Series, n: pd.Series) -> float:
+        at = np.argsort(v.to_numpy(float), kind="stable")
+        values, ends = v.to_numpy(float)[at], np.cumsum(n.to_numpy()[at])
+        low, high = np.searchsorted(ends, [(ends[-1] - 1) // 2, ends[-1] // 2], side="right")
+        return float((values[low] + values[high]) / 2)
+
+    return median(value, times)
+
+
+def cogrouped_totals(left: DataFrame, right: DataFrame, by: str) -> DataFrame:
+    """(by, customers, suppliers): sums of ``x`` of both sides, cogrouped; a side without rows has null."""
+
+    def totals(key: tuple, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({by: [key[0]], "customers": [a["x"].sum() if len(a) else None], "suppliers": [b["x"].sum() if len(b) else None]})
+
+    kind = left.schema[by].dataType.simpleString()
+    return left.groupBy(by).cogroup(right.groupBy(by)).applyInPandas(totals, f"{by} {kind}, customers double, suppliers double")

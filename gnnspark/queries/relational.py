@@ -244,9 +244,46 @@ def udtf_schedule(spark, d):
     return Bounded(F.array(*[F.lit(float(x)) for x in F4_PREP]), F.lit(float(F4_COMPUTE)), F.lit(2))
 
 
+_NORM = "SELECT vec_id, round(sqrt(list_inner_product(embedding::DOUBLE[], embedding::DOUBLE[])), 5) AS x FROM embeddings"
+
+
+@query(_NORM)
+def udf_scalar_norm(spark, d):
+    """A pandas function of a column: what :func:`arr_norm` does without Python."""
+    return read(spark, d, "embeddings", "vec_id", "embedding").select("vec_id", F.round(R.pandas_norm("embedding"), 5).alias("x"))
+
+
+@query("SELECT c_nationkey AS nation, round(sum(c_acctbal), 2) AS customers, (SELECT round(sum(s_acctbal), 2) FROM supplier WHERE s_nationkey = c_nationkey) AS suppliers FROM customer GROUP BY c_nationkey")
+def udf_cogroup_totals(spark, d):
+    """Cogrouped: the balances of a nation's customers beside those of its suppliers; both sides are summed by cells before they meet."""
+    cell = F.pmod(F.xxhash64("id"), F.lit(8))
+    summed = lambda df: df.groupBy("nation", cell.alias("cell")).agg(F.sum("x").alias("x"))
+    c = read(spark, d, "customer", "c_custkey", "c_nationkey", "c_acctbal").toDF("id", "nation", "x")
+    s = read(spark, d, "supplier", "s_suppkey", "s_nationkey", "s_acctbal").toDF("id", "nation", "x")
+    told = R.cogrouped_totals(summed(c), summed(s), "nation")
+    return told.where("customers is not null").select("nation", F.round("customers", 2).alias("customers"), F.round("suppliers", 2).alias("suppliers"))
+
+
+@query("SELECT n_regionkey AS region, round(quantile_cont(c_acctbal, 0.5), 4) AS median FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY n_regionkey")
+def udaf_pandas_median(spark, d):
+    """A pandas aggregate: exact medians of bounded groups of distinct values."""
+    n = read(spark, d, "nation", "n_nationkey", "n_regionkey")
+    c = read(spark, d, "customer", "c_nationkey", "c_acctbal").join(n, F.col("c_nationkey") == F.col("n_nationkey"))
+    counted = c.groupBy("n_regionkey", "c_acctbal").agg(F.count("*").alias("times"))
+    return counted.groupBy(F.col("n_regionkey").alias("region")).agg(F.round(R.pandas_median("c_acctbal", "times"), 4).alias("median"))
+
+
+@query(f"SELECT p_partkey, round(-ln({u_sql(7, 'p_partkey')}) / p_size, 6) AS race FROM part")
+def sql_function_race(spark, d):
+    """The race key as a function of SQL, in a query over a view."""
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION gs_race(u DOUBLE, p DOUBLE) RETURNS DOUBLE RETURN -ln(u) / p")
+    read(spark, d, "part", "p_partkey", "p_size").select("p_partkey", "p_size", uniform(7, F.col("p_partkey")).alias("u")).createOrReplaceTempView("gs_parts")
+    return spark.sql("SELECT p_partkey, round(gs_race(u, CAST(p_size AS DOUBLE)), 6) AS race FROM gs_parts")
+
+
 def _link_sql() -> str:
     score = "list_inner_product(x.embedding::DOUBLE[], y.embedding::DOUBLE[])"
-    pos = "SELECT DISTINCT src, dst FROM a WHERE src < dst"
+    pos = "SELECT DISTINCT least(src, dst) AS src, greatest(src, dst) AS dst FROM a"
     neg = f"SELECT src, (src + 1 + floor({u_sql(7, chr(39) + 'neg' + chr(39), 'src', 'dst')} * (SELECT count(*) - 1 FROM n))::BIGINT) % (SELECT count(*) FROM n) AS dst FROM ({pos})"
     both = f"SELECT 1 AS y, src, dst FROM ({pos}) UNION ALL SELECT 0, src, dst FROM ({neg}) WHERE (src, dst) NOT IN (SELECT (src, dst) FROM a) AND (dst, src) NOT IN (SELECT (src, dst) FROM a)"
     return sql([*graph_sql("emb_knn"), f"pr AS MATERIALIZED (SELECT l.y, round({score}, 6) AS score FROM ({both}) l JOIN embeddings x ON x.vec_id = src JOIN embeddings y ON y.vec_id = dst)"], "SELECT round(avg(CASE WHEN p.score > q.score THEN 1.0 WHEN p.score = q.score THEN 0.5 ELSE 0.0 END), 6)::DOUBLE AS auc FROM pr p JOIN pr q ON p.y = 1 AND q.y = 0")
@@ -254,10 +291,10 @@ def _link_sql() -> str:
 
 @query(_link_sql())
 def linkpred_auc(spark, d):
-    """Link prediction: edges against hashed non-edges, scored by dot products."""
+    """Link prediction: linked pairs, each once whatever its direction, against hashed pairs without a link, scored by dot products."""
     g = load_graph(spark, d, "emb_knn")
     n = g.nodes.count()
-    pos = g.edges.where("src < dst").select("src", "dst").distinct()
+    pos = g.edges.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()
     other = (F.col("src") + 1 + F.floor(uniform(7, "neg", F.col("src"), F.col("dst")) * (n - 1))) % n
     neg = pos.select("src", other.alias("dst"))
     e = g.edges.select("src", "dst")

@@ -453,18 +453,18 @@ def sync_cost_argmin(spark, d):
 
 # ---- measures ----
 
-TIMES = f"(SELECT r AS run, k, round(10 * {u_sql(7, chr(39) + 't' + chr(39), 'r', 'k')}, 6) AS ms FROM (SELECT unnest(range(10))::INT AS r), (SELECT unnest(range(60)) AS k))"
+TIMES = f"(SELECT worker AS run, k, round(sampling + transfer + compute, 6) AS ms FROM ({costs_sql(stats_sql('part_pair', 'gcn'), W.SHAPES['part_pair'][0], 2, False)}))"
+TRIM = 3
 
 
-def times(spark):
-    from ..functions.hashing import uniform
-
-    return spark.range(600).select(F.floor(F.col("id") / 60).cast("int").alias("run"), (F.col("id") % 60).alias("k")).withColumn("ms", r6(10 * uniform(7, "t", F.col("run"), F.col("k"))))
+def times(spark, d):
+    """(run, k, ms): the batches of an epoch on pairs of parts, a run for each of two workers."""
+    return W.costs_of(W.one_model(spark, d, "part_pair", "gcn"), W.SHAPES["part_pair"][0], 2, False).select(F.col("worker").alias("run"), "k", r6(F.col("sampling") + F.col("transfer") + F.col("compute")).alias("ms"))
 
 
-@query(f"SELECT run, round(avg(ms), 6) AS mean, round(stddev_samp(ms), 6) AS sd, count(*) AS n FROM (SELECT * FROM {TIMES} WHERE k BETWEEN 20 AND 39) GROUP BY run")
+@query(f"SELECT run, round(avg(ms), 6) AS mean, round(stddev_samp(ms), 6) AS sd, count(*) AS n FROM (SELECT *, row_number() OVER (PARTITION BY run ORDER BY k) AS i, count(*) OVER (PARTITION BY run) AS n FROM {TIMES}) WHERE i > {TRIM} AND i <= n - {TRIM} GROUP BY run")
 def batch_time_trimmed(spark, d):
-    return rounded(M.batch_time(times(spark)), "mean", "sd")
+    return rounded(M.batch_time(times(spark, d), TRIM), "mean", "sd")
 
 
 @query(f"SELECT run, round(max(e) - min(s), 6) AS ms FROM (SELECT run, sum(ms) OVER w AS e, sum(ms) OVER w - ms AS s FROM {TIMES} WINDOW w AS (PARTITION BY run ORDER BY k)) GROUP BY run")
@@ -472,12 +472,12 @@ def training_time(spark, d):
     from pyspark.sql import Window
 
     end = F.sum("ms").over(Window.partitionBy("run").orderBy("k"))
-    return rounded(M.training_time(times(spark).withColumn("end_ms", end).withColumn("start_ms", F.col("end_ms") - F.col("ms"))), "ms")
+    return rounded(M.training_time(times(spark, d).withColumn("end_ms", end).withColumn("start_ms", F.col("end_ms") - F.col("ms"))), "ms")
 
 
 @query(f"SELECT round(avg(ms), 6) AS mean, round(stddev_samp(ms), 6) AS sd, count(*) AS n FROM (SELECT run, sum(ms) AS ms FROM {TIMES} GROUP BY run)")
 def run_stats(spark, d):
-    return rounded(M.run_stats(times(spark).groupBy("run").agg(F.sum("ms").alias("value")), ()), "mean", "sd")
+    return rounded(M.run_stats(times(spark, d).groupBy("run").agg(F.sum("ms").alias("value")), ()), "mean", "sd")
 
 
 PRED = f"(SELECT quality AS y, CASE WHEN {u_sql(7, chr(39) + 'q' + chr(39), 'doc_id')} < 0.8 THEN quality ELSE 1 - quality END AS yhat, round({u_sql(7, chr(39) + 's' + chr(39), 'doc_id')} / 2 + quality / 4.0, 2) AS score FROM labels)"
@@ -545,4 +545,4 @@ def early_stop_point(spark, d):
 
 @query(f"SELECT run, min_by(k, (-v, k)) AS best FROM (SELECT run, k, round(ms, 1) AS v FROM {TIMES}) GROUP BY run")
 def best_epoch(spark, d):
-    return times(spark).withColumn("v", F.round("ms", 1)).groupBy("run").agg(F.min_by("k", F.struct(-F.col("v"), F.col("k"))).alias("best"))
+    return times(spark, d).withColumn("v", F.round("ms", 1)).groupBy("run").agg(F.min_by("k", F.struct(-F.col("v"), F.col("k"))).alias("best"))

@@ -4,10 +4,14 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..operators import draws, estimators, layerwise, nodewise
+from ..operators import draws, estimators, layerwise, model, nodewise
 from ..operators.propagation import degrees, propagation
+from ..functions.hashing import uniform
 from ..sources.features import embedding_features, exploded
-from .base import BATCHES, FANOUT, SEEDS, SIZE, Setup, prop_sql, query, r6, seeds_sql, sql, u_sql
+from ..sources.graphs import key, load_graph
+from ..sources.spool import spool
+from ..sources.tables import read
+from .base import BATCHES, FANOUT, SEEDS, SIZE, Setup, k_sql, prop_sql, query, r6, seeds_sql, sql, u_sql
 
 BASE = "cust_part"
 SQL = [*prop_sql(BASE), seeds_sql()]
@@ -289,13 +293,10 @@ def _err_sql(variants: list[str], graph: str = "emb_knn") -> str:
 
 def estimator_runs(spark, d, variants):
     """Errors of one layer's estimate over ten seeds; features are the embeddings themselves."""
-    from ..functions.hashing import uniform
-    from ..sources.graphs import load_graph
-
     g = load_graph(spark, d, "emb_knn")
-    prop = propagation(g)
+    prop = spool(propagation(g))
     rows = g.nodes.select("node_id").orderBy(uniform(7, "err", F.col("node_id")), "node_id").limit(32)
-    seeds = rows.select("node_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(RUNS - 1).cast("long"))).alias("batch_id"))
+    seeds = spool(rows.select("node_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(RUNS - 1).cast("long"))).alias("batch_id")))
     blocks = None
     for v in variants:
         s = layerwise.LayerSampler.named(v, sizes=(ERR_SIZE,))
@@ -317,10 +318,82 @@ def bias_debias_vs_plain(spark, d):
     return told.agg((F.max(F.when(F.col("variant") == "fastgcn_d", F.col("bias"))) < F.max(F.when(F.col("variant") == "fastgcn", F.col("bias")))).cast("int").alias("debias_smaller"))
 
 
-@query(sql([*prop_sql("emb_knn"), "c AS (SELECT col AS node_id, sqrt(sum(w * w)) AS h FROM p GROUP BY col)", "f AS (SELECT vec_id AS node_id, abs(list_sum(embedding::DOUBLE[])) AS v FROM embeddings)"], "SELECT count(*) AS n, round(corr(h, v), 6) AS r FROM c JOIN f USING (node_id)"))
+WIDE, NARROW = 64, 16
+HW = f"hw AS MATERIALIZED (SELECT node_id, sqrt(sum(z * z)) AS v FROM (SELECT vec_id AS node_id, j, sum(x * (2 * {u_sql(7, chr(39) + 'w' + chr(39), 1, 'i', 'j')} - 1) * sqrt(6.0::DOUBLE / {WIDE + NARROW})) AS z FROM (SELECT vec_id, generate_subscripts(embedding, 1) - 1 AS i, unnest(embedding)::DOUBLE AS x FROM embeddings), (SELECT unnest(range({NARROW})) AS j) GROUP BY ALL) GROUP BY node_id)"
+
+
+def activations(spark, d):
+    """(node_id, h): row norms of the embeddings times the initial weights of the first layer."""
+    return layerwise.activation_norms(exploded(embedding_features(spark, d)), model.weights(model.init_params(spark, (WIDE, NARROW)), 1))
+
+
+@query(sql([*prop_sql("emb_knn"), HW, "c AS (SELECT col AS node_id, sqrt(sum(w * w)) AS h FROM p GROUP BY col)"], "SELECT count(*) AS n, round(corr(h, v), 6) AS r FROM c JOIN hw USING (node_id)"))
 def norm_corr(spark, d):
-    """How column norms of the operator correlate with a feature magnitude: the argument for flat probabilities."""
+    """How column norms of the operator correlate with the norms of the activations: the argument for flat probabilities."""
     prop = Setup(spark, d, "emb_knn").prop
     h = prop.groupBy(F.col("col").alias("node_id")).agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("h"))
-    v = embedding_features(spark, d).select("node_id", F.abs(F.aggregate("f", F.lit(0.0), lambda a, b: a + b)).alias("v"))
+    v = activations(spark, d).withColumnRenamed("h", "v")
     return h.join(v, "node_id").agg(F.count("*").alias("n"), F.round(F.corr("h", "v"), 6).alias("r"))
+
+
+@query(sql([*prop_sql("emb_knn"), seeds_sql(), HW, "q AS (SELECT DISTINCT batch_id, col AS node_id FROM s JOIN p ON row = s.node_id)"], "SELECT batch_id, node_id, round(v / sum(v) OVER (PARTITION BY batch_id), 9) AS p FROM q JOIN hw USING (node_id)"))
+def ladies_flat_activation(spark, d):
+    """Flat probabilities from the norms of the activations, over the columns that a batch's rows touch."""
+    x = Setup(spark, d, "emb_knn")
+    return layerwise.activation_probs(x.prop, activations(spark, d), x.seeds).select("batch_id", "node_id", F.round("p", 9).alias("p"))
+
+
+# ---- the ablation of flat and debiased draws over all rows of two graphs ----
+
+LOT = 512
+SCALAR_SQL = {
+    "cust_part": f"SELECT {k_sql('customer', 'c_custkey')} AS node_id, 0 AS pos, c_acctbal / 10000.0 AS x FROM customer UNION ALL SELECT {k_sql('part', 'p_partkey')}, 0, p_retailprice / 2000.0 FROM part",
+    "docs_lex": f"SELECT {k_sql('document', 'doc_id')} AS node_id, 0 AS pos, n_chars / 1000.0 AS x FROM documents",
+}
+
+
+def scalar_features(spark, d, graph: str):
+    """(node_id, pos, x): one value a node; balances and prices, or lengths of texts."""
+    zero = F.lit(0).alias("pos")
+    if graph == "docs_lex":
+        return read(spark, d, "documents", "doc_id", "n_chars").select(key("document", "doc_id").alias("node_id"), zero, (F.col("n_chars") / 1000.0).alias("x"))
+    customers = read(spark, d, "customer", "c_custkey", "c_acctbal").select(key("customer", "c_custkey").alias("node_id"), zero, (F.col("c_acctbal") / 10000.0).alias("x"))
+    parts = read(spark, d, "part", "p_partkey", "p_retailprice").select(key("part", "p_partkey").alias("node_id"), zero, (F.col("p_retailprice") / 2000.0).alias("x"))
+    return customers.union(parts)
+
+
+def _ablation_sql(graph: str) -> str:
+    lots = f"(SELECT greatest(1, ceil(count(*) / {LOT}.0))::BIGINT FROM n)"
+    ctes = [*prop_sql(graph), f"s0 AS MATERIALIZED (SELECT node_id, floor({u_sql(7, chr(39) + 'batch' + chr(39), 0, 'node_id')} * {lots})::BIGINT AS b FROM n)", f"s AS MATERIALIZED (SELECT r * {lots} + b AS batch_id, node_id FROM s0, (SELECT unnest(range({RUNS})) AS r))", f"x AS MATERIALIZED ({SCALAR_SQL[graph]})", "tz AS MATERIALIZED (SELECT row AS dst, sum(w * x) AS z FROM p JOIN x ON col = x.node_id GROUP BY row)"]
+    parts = []
+    for v in ERR_VARIANTS:
+        base, flat, debias = layerwise.VARIANTS[v]
+        power, tag = (1 if flat else 2), v.replace("_", "")
+        pre = [colp_sql(power, f"cp{tag}"), f"q{tag} AS (SELECT batch_id, node_id, p FROM cp{tag}, (SELECT DISTINCT batch_id FROM s))"] if base == "fastgcn" else [pool_sql(f"q{tag}", "s", base, power)]
+        ctes += [*pre, race_sql(f"d{tag}", f"q{tag}", 0, LOT), coef_sql(f"c{tag}", f"d{tag}", f"q{tag}", debias), block_sql(f"k{tag}", "s", f"c{tag}", False)]
+        est = f"SELECT batch_id // {lots} AS r, dst, sum(w * x) AS z FROM k{tag} JOIN x ON src = x.node_id GROUP BY ALL"
+        cell = f"SELECT dst, any_value(t.z) AS truth, sum(coalesce(e.z, 0) - t.z) AS se, sum((coalesce(e.z, 0) - t.z) * (coalesce(e.z, 0) - t.z)) AS see FROM (SELECT * FROM tz, (SELECT unnest(range({RUNS})) AS r)) t LEFT JOIN ({est}) e USING (r, dst) GROUP BY dst"
+        parts.append(f"SELECT '{v}' AS variant, round(sqrt(sum(see / {RUNS}.0) / sum(truth * truth)), 5) AS rmse, round(sqrt(sum((se / {RUNS}.0) * (se / {RUNS}.0)) / sum(truth * truth)), 5) AS bias FROM ({cell})")
+    return sql(ctes, " UNION ALL ".join(parts))
+
+
+for _graph in SCALAR_SQL:
+
+    @query(_ablation_sql(_graph), f"wl_variant_error_{_graph}")
+    def _ablation(spark, d, graph=_graph):
+        """(variant, rmse, bias): all rows of the graph in batches of 512, with 512 draws a batch, over ten seeds."""
+        g = load_graph(spark, d, graph)
+        prop = spool(propagation(g))
+        lots = max(1, -(-g.nodes.count() // LOT))
+        place = F.floor(uniform(7, "batch", 0, F.col("node_id")) * lots)
+        turns = F.explode(F.sequence(F.lit(0), F.lit(RUNS - 1)))
+        seeds = spool(g.nodes.select("node_id", place.alias("b"), turns.alias("r")).select((F.col("r") * lots + F.col("b")).cast("long").alias("batch_id"), "node_id"))
+        blocks = None
+        for v in ERR_VARIANTS:
+            s = layerwise.LayerSampler.named(v, sizes=(LOT,))
+            cut = layerwise.block_of(prop, seeds, s.draw(prop, seeds, 0), False)
+            one = cut.select(F.lit(v).alias("variant"), F.floor(F.col("batch_id") / lots).alias("seed"), "dst", "src", "w")
+            blocks = one if blocks is None else blocks.union(one)
+        exact = prop.select(F.col("row").alias("dst"), F.col("col").alias("src"), "w")
+        told = estimators.estimator_error(blocks, exact, scalar_features(spark, d, graph))
+        return told.select("variant", F.round("rmse", 5).alias("rmse"), F.round("bias", 5).alias("bias"))

@@ -4,9 +4,16 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from ..operators import cache as C
+from ..operators.batching import make_batches
+from ..operators.prefix import quantile_cells
+from ..operators.propagation import split_of
+from ..sources.graphs import load_graph
+from ..sources.spool import spool
 from ..sources.tables import read
 from ..streaming import runs as R
-from .base import query
+from .base import graph_sql, query, u_sql
+from .caching import draw_sql, train_sql
 from .running import EX, WORKERS, arrived, r6, sql
 
 
@@ -49,6 +56,27 @@ def stream_grad_queue(spark, d):
     return out.withColumn("mean", r6("mean"))
 
 
+@query(sql(["n AS (SELECT DISTINCT user_id AS node_id FROM events)", "cprob AS (SELECT user_id AS node_id, count(*)::DOUBLE / (SELECT count(*) FROM events) AS p FROM events GROUP BY user_id)", draw_sql("ch", "(SELECT greatest(1, floor(0.01 * count(*) + 1e-9)) FROM n)")], "SELECT node_id, round(p, 9) AS p, ord::INT AS ord FROM ch"))
+def stream_cache_probs(spark, d):
+    """Degrees come from arriving events, in three files; the cache drawn from the last trigger's probabilities is that of the whole table."""
+    where = R.scratch(spark, "spool")
+    read(spark, d, "events").repartition(3, "event_id").write.parquet(where)
+    deg = R.drain(spark, R.streamed_degrees(R.spooled(spark, where, R.EVENTS)), "complete")
+    sums = deg.agg(F.count("*").alias("n"), F.sum("deg").alias("m")).first()
+    probs = deg.select("node_id", (F.col("deg") / F.lit(sums["m"] or 1)).alias("p"))
+    return C.build_cache(probs, C.cache_size(sums["n"], 0.01)).select("node_id", F.round("p", 9).alias("p"), "ord")
+
+
+@query(sql([*graph_sql("cust_supp"), train_sql("cust_supp"), f"lt AS (SELECT greatest(1, ceil(count(*) / 64.0))::BIGINT AS lots FROM tr)", f"q AS (SELECT floor({u_sql(7, chr(39) + 'batch' + chr(39), 0, 'node_id')} * lots)::BIGINT AS batch_id, node_id FROM tr, lt)"], f"SELECT batch_id, (batch_id % {WORKERS})::INT AS worker, count(*) AS n, min(node_id) AS first FROM q GROUP BY batch_id"))
+def stream_batch_queue(spark, d):
+    """The training batches of an epoch as files, taken one file a trigger."""
+    train = load_graph(spark, d, "cust_supp").nodes.where(split_of(F.col("node_id"), "cust_supp") == "train").select("node_id")
+    packed = make_batches(train, 64).groupBy("batch_id").agg(F.collect_list("node_id").alias("seeds"))
+    where = R.scratch(spark, "spool")
+    packed.repartitionByRange(4, "batch_id").write.parquet(where)
+    return R.drain(spark, R.batch_queue(R.spooled(spark, where, "batch_id long, seeds array<long>"), WORKERS))
+
+
 @query("SELECT n_name, count(*) AS n FROM events JOIN nation ON n_nationkey = user_id % 25 GROUP BY n_name")
 def stream_static(spark, d):
     return R.drain(spark, R.with_static(R.event_stream(spark, d), read(spark, d, "nation", "n_nationkey", "n_name")), "complete")
@@ -62,11 +90,8 @@ def stream_interval(spark, d):
 @query("SELECT 0 AS late_in_result, 1 AS on_time_kept")
 def stream_late(spark, d):
     """Nine files in time order and one of early rows at the end: the watermark drops the late rows and nothing else."""
-    from pyspark.sql import Window
-
-    events = read(spark, d, "events", "event_id", "ts", "user_id")
-    cut = F.ntile(10).over(Window.partitionBy().orderBy("ts"))
-    parts = events.withColumn("part", cut).persist()
+    events = read(spark, d, "events", "event_id", "ts", "user_id").withColumn("us", F.unix_micros(F.col("ts").cast("timestamp")))
+    parts = spool(events.withColumn("part", quantile_cells(events, "us", 10) + 1).drop("us"))
     where = R.scratch(spark, "spool")
     for i in [*range(2, 11), 1]:
         parts.where(F.col("part") == i).drop("part").coalesce(1).write.mode("append").parquet(where)

@@ -5,7 +5,6 @@ Each function takes a streaming table and returns one; :func:`drain` runs it to
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -28,14 +27,20 @@ def spooled(spark: SparkSession, folder: str, schema: str) -> DataFrame:
 
 
 def drain(spark: SparkSession, stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a stream over all present input. Complete results are small and kept in memory; appended rows are written as Parquet."""
+    """Run a stream over all present input. Appended rows go to a Parquet sink; in the other modes each trigger's result is a folder, of which ``complete`` reads the last and ``update`` all."""
     where = scratch(spark, "stream")
     if mode == "append":
         stream.writeStream.format("parquet").option("path", f"{where}/out").option("checkpointLocation", f"{where}/state").trigger(availableNow=True).start().awaitTermination()
         return spark.read.schema(stream.schema).parquet(f"{where}/out")
-    name = f"stream_{uuid.uuid4().hex}"
-    stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{where}/state").trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+    done = []
+
+    def put(rows: DataFrame, number: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{where}/out/{number}")
+        done.append(f"{where}/out/{number}")
+
+    stream.writeStream.foreachBatch(put).outputMode(mode).option("checkpointLocation", f"{where}/state").trigger(availableNow=True).start().awaitTermination()
+    kept = done[-1:] if mode == "complete" else sorted(set(done))
+    return spark.read.schema(stream.schema).parquet(*kept) if kept else spark.createDataFrame([], stream.schema)
 
 
 def tumbling(events: DataFrame, width: str = "1 day") -> DataFrame:
@@ -43,11 +48,11 @@ def tumbling(events: DataFrame, width: str = "1 day") -> DataFrame:
 
 
 def sliding(events: DataFrame, width: str = "2 days", slide: str = "1 day") -> DataFrame:
-    return events.groupBy(F.window("ts", width, slide).alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "n")
+    return events.withWatermark("ts", "2 hours").groupBy(F.window("ts", width, slide).alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "n")
 
 
 def sessions(events: DataFrame, gap: str = "6 hours") -> DataFrame:
-    return events.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("start"), "n")
+    return events.withWatermark("ts", "2 hours").groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("start"), "n")
 
 
 def deduplicated(events: DataFrame, delay: str = "60 days") -> DataFrame:
@@ -65,6 +70,17 @@ def degree_state(events: DataFrame) -> DataFrame:
     return events.groupBy("user_id").applyInPandasWithState(count, "user_id long, degree long", "n long", "update", GroupStateTimeout.NoTimeout)
 
 
+def streamed_degrees(events: DataFrame) -> DataFrame:
+    """(node_id, deg): arrivals a user so far; the masses of the cache's degree probabilities follow each trigger."""
+    return events.groupBy(F.col("user_id").alias("node_id")).agg(F.count("*").alias("deg"))
+
+
+def batch_queue(batches: DataFrame, workers: int) -> DataFrame:
+    """(batch_id, worker, n, first): what each worker takes from a queue of packaged batches (batch_id, seeds); a file is a slot of the queue."""
+    worker = (F.col("batch_id") % workers).cast("int")
+    return batches.select("batch_id", worker.alias("worker"), F.size("seeds").cast("long").alias("n"), F.array_min("seeds").alias("first"))
+
+
 def gradient_queue(arrivals: DataFrame, workers: int) -> DataFrame:
     """(receiver, iter, mean): folds gradients (iter, sender, receiver, g) as they come; a row leaves when all workers' have."""
 
