@@ -81,3 +81,16 @@ def planted_label(g: Graph, scalar: DataFrame) -> DataFrame:
     median = mean.agg(F.percentile("m", F.lit(0.5)).alias("mid"))
     named = mean.withColumn("k", F.lit(1)).join(F.broadcast(median.withColumn("k", F.lit(1))), "k")
     return g.nodes.select("node_id").join(named, F.col("node_id") == F.col("dst"), "left").select("node_id", (F.col("m") > F.col("mid")).cast("int").alias("y"))
+
+
+def smoothed_label(g: Graph, prop: DataFrame, scalar: DataFrame, hops: int = 2) -> DataFrame:
+    """(node_id, y): whether a feature, propagated over ``hops`` layers without sampling, lies above its median: what a network of as many layers can learn.
+
+    A missing feature counts as zero; every node has a label, as propagation holds self loops.
+    """
+    x = scalar.select("node_id", "x")
+    for _ in range(hops):
+        x = prop.join(x, F.col("col") == F.col("node_id")).groupBy(F.col("row").alias("node_id")).agg(F.sum(F.col("w") * F.col("x")).alias("x"))
+    x = g.nodes.select("node_id").join(x, "node_id", "left").select("node_id", F.round(F.coalesce("x", F.lit(0.0)), 9).alias("x"), F.lit(1).alias("k"))
+    median = x.agg(F.percentile("x", F.lit(0.5)).alias("mid")).withColumn("k", F.lit(1))
+    return x.join(F.broadcast(median), "k").select("node_id", (F.col("x") > F.col("mid")).cast("int").alias("y"))

@@ -193,7 +193,7 @@ def played(packaged: DataFrame, ids, runs: list[Run], streams: list[Stream], cou
                         yield now.drained()
                     now = Trainer(row.run, runs[row.run], course)
                 now.take(row, row.epoch, row.phase)
-            if now:
+            if now and now.rows:
                 yield now.drained()
         if now:
             now.finish()

@@ -9,7 +9,7 @@ from ..operators.propagation import degrees, propagation
 from ..functions.hashing import uniform
 from ..sources.features import embedding_features, exploded
 from ..sources.graphs import key, load_graph
-from ..sources.spool import spool
+from ..sources.spool import Spool, spool
 from ..sources.tables import read
 from .base import BATCHES, FANOUT, SEEDS, SIZE, Setup, k_sql, prop_sql, query, r6, seeds_sql, sql, u_sql
 
@@ -214,9 +214,10 @@ for _variant in layerwise.VARIANTS:
 
 @query(" UNION ALL ".join("SELECT * FROM (" + sql([*SQL, *layers_sql(v)], f"SELECT '{v}' AS variant, layer, count(*) AS edges, count(DISTINCT (batch_id, dst)) AS rows_hit FROM (SELECT * FROM k1 UNION ALL SELECT * FROM k0) GROUP BY layer") + ")" for v in layerwise.VARIANTS))
 def ls_variant_sizes(spark, d):
-    x, out = Setup(spark, d, BASE), None
+    x, out, keep = Setup(spark, d, BASE), None, Spool(spark)
+    prop, seeds = keep(x.prop), keep(x.seeds)  # all variants read them
     for v in layerwise.VARIANTS:
-        blocks = sampler(v).layers(x.prop, x.seeds)[1]
+        blocks = sampler(v, keep=keep).layers(prop, seeds)[1]
         one = blocks[0].union(blocks[1]).groupBy("layer").agg(F.count("*").alias("edges"), F.countDistinct("batch_id", "dst").alias("rows_hit")).select(F.lit(v).alias("variant"), "layer", "edges", "rows_hit")
         out = one if out is None else out.union(one)
     return out

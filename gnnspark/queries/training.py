@@ -6,15 +6,15 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators import metrics as M
-from ..operators.propagation import planted_label
+from ..operators.propagation import planted_label, propagation, smoothed_label
 from ..plans.batches import MODELS, Sizes
 from ..plans.grid import Course, Run, train_grid
 from ..plans.train import train
-from ..sources.features import balance, customer_features, embedding_features, supplier_features, text_features
+from ..sources.features import balance, customer_features, embedding_features, part_features, standing, standing_features, supplier_features, text_features
 from ..sources.graphs import key, load_graph
 from ..sources.spool import Spool
 from ..sources.tables import read
-from .base import query, split_sql, sql, u_sql
+from .base import graph_sql, query, split_sql, sql, u_sql
 
 BATCH, EPOCHS, CLASSES_BOUND = 64, 5, 4096
 
@@ -175,6 +175,17 @@ def wl_control(spark, d):
     return t.select("model", "piped", (F.abs(F.col("accuracy") - chance) < 4 * sd + 0.02).cast("int").alias("near_chance"))
 
 
+def aucs(told: DataFrame, bins: int = 1024) -> DataFrame:
+    """(run, test_rows, auc) from the scored test nodes of runs with two classes, by histograms of scores."""
+    test = told.where("kind = 'test'").select("run", F.col("b").alias("y"), F.floor(F.col("value") * bins).alias("score"))
+    by = test.groupBy("run", "score").agg(F.sum("y").alias("pos"), F.count("*").alias("n"))
+    below = F.coalesce(F.sum("n").over(Window.partitionBy("run").orderBy("score").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranked = by.withColumn("rank", below + (F.col("n") + 1) / 2.0).groupBy("run")
+    sums = ranked.agg(F.sum(F.col("rank") * F.col("pos")).alias("r"), F.sum("pos").alias("p"), F.sum("n").alias("test_rows"))
+    pairs = F.col("p") * (F.col("test_rows") - F.col("p"))
+    return sums.select("run", "test_rows", F.when(pairs > 0, (F.col("r") - F.col("p") * (F.col("p") + 1) / 2.0) / pairs).otherwise(0.5).alias("auc"))
+
+
 @query()
 def wl_planted_auc(spark, d):
     """(model, piped, val_auc, auc, test_rows) on customers and suppliers with the planted label: the measure of the imbalanced data set."""
@@ -182,13 +193,68 @@ def wl_planted_auc(spark, d):
     g = load_graph(spark, d, "cust_supp")
     feats = customer_features(spark, d).select("node_id", "f").union(supplier_features(spark, d).select("node_id", "f"))
     told = train_grid(g, keep(feats), keep(planted_label(g, balance(spark, d))), runs, Course((8, 32, 2), rate=0.02, metric="auc"), Sizes(BATCH, 5, 128, EPOCHS), keep)
-    test = told.where("kind = 'test'").select("run", F.col("b").alias("y"), F.floor(F.col("value") * 1024).alias("score"))
-    by = test.groupBy("run", "score").agg(F.sum("y").alias("pos"), F.count("*").alias("n"))
-    below = F.coalesce(F.sum("n").over(Window.partitionBy("run").orderBy("score").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    sums = by.withColumn("rank", below + (F.col("n") + 1) / 2.0).groupBy("run").agg(F.sum(F.col("rank") * F.col("pos")).alias("r"), F.sum("pos").alias("p"), F.sum("n").alias("test_rows"))
-    auc = (F.col("r") - F.col("p") * (F.col("p") + 1) / 2.0) / (F.col("p") * (F.col("test_rows") - F.col("p")))
     val = told.where("kind = 'best'").select("run", F.col("value").alias("val_auc"))
-    return named(runs)(sums.select("run", "test_rows", auc.alias("auc")).join(val, "run")).select("model", "piped", "val_auc", "auc", "test_rows")
+    return named(runs)(aucs(told).join(val, "run")).select("model", "piped", "val_auc", "auc", "test_rows")
+
+
+def experiment(spark: SparkSession, d: str, name: str, keep: Spool):
+    """(graph, features, (node_id, y), course) of one of the four data sets: smoothed labels by AUC, the embeddings' own labels by accuracy."""
+    g = load_graph(spark, d, name)
+    if name == "emb_knn":
+        labels, n = numbered(read(spark, d, "embeddings", "vec_id", "label").select(F.col("vec_id").alias("node_id"), "label"), "label")
+        return g, keep(embedding_features(spark, d)), keep(labels.select("node_id", "y")), Course((64, 32, n), rate=0.01)
+    width, high = {"cust_supp": 8, "cust_part": 16, "part_pair": 128}[name], standing(spark, d)
+    feats = standing_features(spark, d, width) if name != "part_pair" else part_features(spark, d, width - 1).join(high, "node_id").select("node_id", F.concat(F.array(F.col("x").cast("float")), "f").alias("f"))
+    return g, keep(feats), keep(smoothed_label(g, keep(propagation(g)), high)), Course((width, 32, 2), rate=0.02, metric="auc")
+
+
+GRID = [Run(m, piped, w, 3 if piped else 1) for m in MODELS for w in (1, 2, 3, 4) for piped in (False, True)]
+
+
+def worker_time(told: DataFrame, runs: list[Run]) -> DataFrame:
+    """(run, train_ms): computation of a run on its workers. Plain runs wait for the slowest worker in every iteration, piped ones only at the end."""
+    ms = named(runs)(told.where("kind = 'ms'").select("run", "epoch", F.col("a").alias("batch"), F.col("b").alias("worker"), F.col("value").alias("ms")))
+    first = F.min("batch").over(Window.partitionBy("run", "epoch"))
+    turn = F.when(F.col("piped") == 0, F.struct("epoch", F.floor((F.col("batch") - first) / F.col("workers")).alias("turn")))
+    steps = ms.withColumn("turn", turn).groupBy("run", "turn", "worker").agg(F.sum("ms").alias("ms"))
+    return steps.groupBy("run", "turn").agg(F.max("ms").alias("ms")).groupBy("run").agg(F.sum("ms").alias("train_ms"))
+
+
+def measured(spark: SparkSession, d: str, name: str, runs: list[Run], epochs: int, layer: int = 512) -> DataFrame:
+    """(model, workers, piped, test_rows, metric, epochs, batches, best_epoch, val, stop_step, batch_ms, batch_sd, train_ms) of training runs on one data set, in one job."""
+    keep = Spool(spark)
+    g, feats, labels, course = experiment(spark, d, name, keep)
+    told = train_grid(g, feats, labels, runs, course, Sizes(BATCH, 5, layer, epochs), keep)
+    metric = aucs(told).withColumnRenamed("auc", "metric") if course.metric == "auc" else scores(told).select("run", "test_rows", F.col("accuracy").alias("metric"))
+    t = metric.join(courses(told).drop("train_ms"), "run").join(worker_time(told, runs), "run")
+    return named(runs)(t).drop("run", "period", "seed")
+
+
+# epochs: the split of customers and parts trains on a tenth of the nodes, so its epochs are short
+LENGTHS = {"cust_supp": 3, "emb_knn": 3, "part_pair": 3, "cust_part": 8}
+
+for _name, _epochs in LENGTHS.items():
+
+    @query(name=f"wl_measured_{_name}")
+    def _measured(spark, d, name=_name, epochs=_epochs):
+        """The ten samplers, plain and piped, on one to four workers of one data set, trained and measured; times depend on the machine, so there is no SQL."""
+        return measured(spark, d, name, GRID, epochs)
+
+
+LEARNS = [Run(m, piped, 1 + piped, 1 + 2 * piped) for m in ("graphsage", "ladies") for piped in (False, True)]
+
+
+def _learns_sql() -> str:
+    rows = ", ".join(f"('{r.model}', {int(r.piped)}, {r.workers})" for r in LEARNS)
+    return sql([*graph_sql("cust_part"), f"k AS (SELECT {split_sql('cust_part')} AS split FROM n)"], f"SELECT model, piped, workers, (SELECT count(*) FROM k WHERE split = 'test') AS test_rows, 1 AS above_chance FROM (VALUES {rows}) v(model, piped, workers)")
+
+
+@query(_learns_sql())
+def wl_learns_cust_part(spark, d):
+    """On customers and parts every test node is scored, and the area under the curve lies above 0.5 by more than four deviations of a ranking by chance (two classes of one half each)."""
+    t = measured(spark, d, "cust_part", LEARNS, LENGTHS["cust_part"])
+    sd = F.sqrt((F.col("test_rows") + 1) / (3.0 * F.col("test_rows") * F.col("test_rows")))
+    return t.select("model", "piped", "workers", "test_rows", (F.col("metric") > 0.5 + 4 * sd).cast("int").alias("above_chance"))
 
 
 @query()

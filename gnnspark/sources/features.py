@@ -60,6 +60,24 @@ def balance(spark: SparkSession, sf_dir: str) -> DataFrame:
     return c.union(read(spark, sf_dir, "supplier").select(key("supplier", "s_suppkey"), "s_acctbal"))
 
 
+def standing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(node_id, x): how many deviations a balance (customers, suppliers) or a retail price (parts) lies above the mean of its kind."""
+    told = (("customer", "c_custkey", "c_acctbal"), ("supplier", "s_suppkey", "s_acctbal"), ("part", "p_partkey", "p_retailprice"))
+    each = [read(spark, sf_dir, t).select(key(t, k).alias("node_id"), F.lit(t).alias("kind"), F.col(v).cast("double").alias("x")) for t, k, v in told]
+    every = each[0].union(each[1]).union(each[2])
+    kinds = every.groupBy("kind").agg(F.avg("x").alias("mean"), F.stddev_pop("x").alias("sd"))
+    x = F.when(F.col("sd") > 0, (F.col("x") - F.col("mean")) / F.col("sd")).otherwise(0.0)
+    return every.join(F.broadcast(kinds), "kind").select("node_id", x.alias("x"))
+
+
+def standing_features(spark: SparkSession, sf_dir: str, d: int = 16) -> DataFrame:
+    """Customers, suppliers and parts: the standing, whether the node is a part, and a one-hot of ``d`` - 2 hashed places of its nation or brand."""
+    told = (("customer", "c_custkey", "c_nationkey"), ("supplier", "s_suppkey", "s_nationkey"), ("part", "p_partkey", "p_brand"))
+    each = [read(spark, sf_dir, t).select(key(t, k).alias("node_id"), F.lit(float(t == "part")).cast("float").alias("part"), F.coalesce(F.col(v).cast("string"), F.lit("")).alias("of")) for t, k, v in told]
+    held = each[0].union(each[1]).union(each[2]).join(standing(spark, sf_dir), "node_id")
+    return held.select("node_id", F.concat(F.array(F.col("x").cast("float"), "part"), one_hot(bucket(F.col("of"), d - 2), d - 2)).alias("f"))
+
+
 def part_features(spark: SparkSession, sf_dir: str, d: int = 128) -> DataFrame:
     """Hashed brand, type and name words, and scaled size and price in the first two places."""
     p = read(spark, sf_dir, "part")

@@ -227,3 +227,39 @@ def test_plans_keep_limits_and_avoid_products(spark, sf):
     assert "TakeOrderedAndProject" not in text["cache_nodes"] and "GlobalLimit" not in text["cache_nodes"]
     assert re.search(r"row_number\(\) windowspecdefinition\(cell#", text["cache_nodes"])
     assert all("CartesianProduct" not in t and "BroadcastNestedLoopJoin" not in t for t in text.values())
+
+
+def test_smoothed_label_is_two_products(spark):
+    """Labels equal those of the dense product; isolated nodes and nodes without a value count as zero."""
+    from gnnspark.operators.propagation import propagation, smoothed_label
+    from gnnspark.sources.graphs import Graph
+
+    pairs, n = [(0, 1), (1, 2), (2, 3), (0, 3), (3, 4)], 6
+    nodes = spark.range(n).select(F.col("id").alias("node_id"), F.lit("v").alias("kind"))
+    both = spark.createDataFrame([(a, b) for x, y in pairs for a, b in ((x, y), (y, x))], "dst long, src long")
+    x = np.array([1.0, -2.0, 0.5, 3.0, 0.0, 0.7])
+    scalar = spark.createDataFrame([(i, float(v)) for i, v in enumerate(x) if i != 4], "node_id long, x double")
+    a = np.eye(n)
+    for i, j in pairs:
+        a[i, j] = a[j, i] = 1
+    p = a / np.sqrt(np.outer(a.sum(1), a.sum(1)))
+    want = p @ p @ x
+    g = Graph("toy", nodes, both, False)
+    got = {r["node_id"]: r["y"] for r in smoothed_label(g, propagation(g), scalar).collect()}
+    assert got == {i: int(want[i] > np.median(want)) for i in range(n)}
+
+
+def test_worker_time_and_auc(spark):
+    """A plain run waits in every iteration, a piped one only at the end; the area under the curve equals the share of ordered pairs."""
+    from gnnspark.plans.grid import TOLD, Run
+    from gnnspark.queries import training as T
+
+    ms = [(0, 0, 1.0), (1, 1, 5.0), (2, 0, 4.0), (3, 1, 2.0), (4, 0, 3.0)]  # batch, worker, ms: three iterations, the last one short
+    rows = [(run, "ms", 0, a, w, 0, v) for run in (0, 1) for a, w, v in ms]
+    scored = [(0, 0.1), (1, 0.8), (0, 0.4), (1, 0.4), (1, 0.9)]
+    rows += [(0, "test", 0, i, y, 0, v) for i, (y, v) in enumerate(scored)]
+    told = spark.createDataFrame(rows, TOLD)
+    runs = [Run("gcn", False, 2), Run("gcn", True, 2, 3)]
+    assert {r["run"]: r["train_ms"] for r in T.worker_time(told, runs).collect()} == {0: 5 + 4 + 3, 1: 8}
+    pairs = [(p > n) + (p == n) / 2 for y, p in scored if y for z, n in scored if not z]
+    assert T.aucs(told).first()["auc"] == pytest.approx(np.mean(pairs))
