@@ -10,6 +10,9 @@ encoded words. Texts are handled in pieces of a bounded number of words, so a ve
 
 Defined results: null text is empty (no ids); control strings of the vocabulary become their own ids, as the
 tokenizers library does; repeated rows each get a result; an empty table gives no rows. Only the named columns are read.
+A vocabulary file that asks for steps not built here (a normaliser, another pre-tokeniser, dropout, added tokens that take spaces or whole
+words) is refused. Letters and numbers are those of the regex package's Unicode tables; the tokenizers library may have others, which
+can only matter for code points that one of the two versions leaves unassigned.
 """
 
 from __future__ import annotations
@@ -40,11 +43,31 @@ def byte_letters() -> dict[str, int]:
     return {chr(b): b for b in own} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
+def refused(told: dict) -> list[str]:
+    """What a vocabulary file asks for that this encoder does not do; empty if it can follow the file."""
+    model, cut = told["model"], told.get("pre_tokenizer") or {}
+    wrong = [k for k in ("normalizer", "post_processor") if told.get(k)]
+    wrong += [f"model {k}" for k in ("dropout", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback", "ignore_merges") if model.get(k)]
+    if model.get("type", "BPE") != "BPE":
+        wrong.append("model type")
+    if cut.get("type") != "ByteLevel" or cut.get("add_prefix_space") or not cut.get("use_regex", True):
+        wrong.append("pre_tokenizer")
+    if (told.get("decoder") or {}).get("type") != "ByteLevel":
+        wrong.append("decoder")
+    if any(a.get(k) for a in told.get("added_tokens", []) for k in ("single_word", "lstrip", "rstrip", "normalized")):
+        wrong.append("added_tokens")
+    if any(i >= 2**20 for i in model["vocab"].values()):
+        wrong.append("ids of 2**20 or more")
+    return wrong
+
+
 class Bpe:
     """A vocabulary with its merges as sorted pair codes."""
 
     def __init__(self, spec: str):
         told = json.loads(spec)
+        if wrong := refused(told):
+            raise ValueError(f"vocabulary file not supported: {', '.join(wrong)}")
         vocab, merges = told["model"]["vocab"], told["model"]["merges"]
         letters = byte_letters()
         self.special = {a["content"]: a["id"] for a in told.get("added_tokens", [])}

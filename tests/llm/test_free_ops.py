@@ -2,6 +2,7 @@
 
 import base64
 import hashlib
+import json
 import random
 import re
 
@@ -112,6 +113,19 @@ def test_bpe_long_text_in_pieces(both, monkeypatch):
     assert mine.encode(text).tolist() == theirs.encode(text, add_special_tokens=False).ids
 
 
+@pytest.mark.parametrize("change, named", [
+    ({"normalizer": {"type": "Lowercase"}}, "normalizer"), ({"pre_tokenizer": {"type": "Whitespace"}}, "pre_tokenizer"),
+    ({"pre_tokenizer": {"type": "ByteLevel", "add_prefix_space": True}}, "pre_tokenizer"), ({"decoder": None}, "decoder"),
+    ({"added_tokens": [{"id": 3, "content": "<x>", "lstrip": True}]}, "added_tokens"),
+    ({"model": {"type": "WordPiece", "vocab": {}, "merges": []}}, "model type"), ({"model": {"type": "BPE", "dropout": 0.1, "vocab": {}, "merges": []}}, "dropout"),
+])
+def test_bpe_refuses_what_it_does_not_do(change, named):
+    plain = {"normalizer": None, "pre_tokenizer": {"type": "ByteLevel", "add_prefix_space": False}, "decoder": {"type": "ByteLevel"}, "added_tokens": [], "model": {"type": "BPE", "vocab": {}, "merges": []}}
+    assert not bpe.refused(plain)
+    with pytest.raises(ValueError, match=named):
+        bpe.Bpe(json.dumps(plain | change))
+
+
 def test_bpe_tables(spark, both):
     path = registry.tokenizer_path()
     docs = docs_of(spark, ODD)
