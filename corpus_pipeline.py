@@ -30,6 +30,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of documents linked by a five-word Jaccard similarity of at least 0.8 the one with the least id stays.
 
+    Candidates come from SimHash blocks, and from min-hash bands for pairs whose fingerprints are farther apart than blocks can meet; an exact check decides.
     Null text is empty text; texts without words are copies of each other; ties in the id go by text and columns; a repeated or null id loses no
     row whose text is not linked; further columns pass; an empty table stays empty.
     """

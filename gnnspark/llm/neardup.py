@@ -1,6 +1,8 @@
-"""Near-duplicates at a Jaccard similarity of word shingles: min-hash bands, then an exact check of the sets.
+"""Near-duplicates at a Jaccard similarity of word shingles: SimHash blocks and min-hash bands, then an exact check of the sets.
 
-A text is the set of its five-word shingles, over words folded in A-Z and cut at white space. Of each text 128 min-hashes are taken: 32 bands of four
+A text is the set of its five-word shingles, over words folded in A-Z and cut at white space. The fingerprints of :mod:`simhash` over the same shingles are linked
+at two differing bits, by four blocks and a table for each two of them, and texts with linked fingerprints are candidates. Most pairs at similarity 0.8 differ by more bits, so that these are met
+too, of each text 128 min-hashes are taken: 32 bands of four
 hashes are the bucket keys, and the low byte of each hash is the sketch. Texts that share a bucket are candidates if their
 sketches agree in ``sketch_share`` of the bytes; candidates fall into groups, and inside a group the shingle sets of all pairs that are not linked yet are compared.
 A pair at similarity 0.8 meets in no band with probability 5e-8; nothing is capped. Buckets and groups of any size are compared in bounded
@@ -21,6 +23,8 @@ from pyspark.sql import functions as F
 from .blockpairs import Forest, candidate_pairs, dealt, shared_buckets, whole_units
 from .components import connected_components
 from .mixing import beside
+from .simhash import fingerprint
+from .simhash import links as close_pairs
 from .state import checkpointed, map_in_arrow
 
 BANDS, ROWS = 32, 4
@@ -55,17 +59,28 @@ def node_of(text: str) -> Column:
 
 
 def sketches(docs: DataFrame, text: str = "text", words: int = 5) -> DataFrame:
-    """(node, keys, sketch) of each text. One pass over whole texts."""
+    """(node, keys, sketch, fp) of each text. One pass over whole texts."""
 
     def apply(batches):
         for batch in batches:
-            least = np.array([min_hashes(shingles(t, words)) for t in batch.column(1).to_pylist()], np.uint64).reshape(-1, BANDS * ROWS)
+            said = batch.column(1).to_pylist()
+            fp = np.frombuffer(b"".join(fingerprint(t, words) for t in said), ">i8").astype(np.int64)
+            least = np.array([min_hashes(shingles(t, words)) for t in said], np.uint64).reshape(-1, BANDS * ROWS)
             keys = [[xxhash.xxh64_intdigest(band.tobytes(), k) for k, band in enumerate(row.reshape(BANDS, ROWS))] for row in least]
             keys = np.array(keys, np.uint64).reshape(-1).view(np.int64)
             lists = pa.ListArray.from_arrays(pa.array(np.arange(0, len(keys) + 1, BANDS, dtype=np.int32)), pa.array(keys))
-            yield pa.RecordBatch.from_arrays([batch.column(0), lists, pa.array([row.tobytes() for row in least.astype(np.uint8)], pa.binary())], names=["node", "keys", "sketch"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), lists, pa.array([row.tobytes() for row in least.astype(np.uint8)], pa.binary()), pa.array(fp)], names=["node", "keys", "sketch", "fp"])
 
-    return map_in_arrow(docs.select(node_of(text).alias("node"), F.col(f"`{text}`")), apply, "node long, keys array<long>, sketch binary").dropDuplicates(["node"])
+    return map_in_arrow(docs.select(node_of(text).alias("node"), F.col(f"`{text}`")), apply, "node long, keys array<long>, sketch binary, fp long").dropDuplicates(["node"])
+
+
+def close_fingerprints(found: DataFrame, bits: int = 2, blocks: int = 4) -> DataFrame:
+    """(src, dst): links that span all pairs of texts whose fingerprints differ by at most ``bits`` bits."""
+    least = checkpointed(found.groupBy("fp").agg(F.min("node").alias("least"), F.count("*").alias("n")))
+    equal = found.select("node", "fp").join(least.where("n > 1"), "fp").where("node <> least").select(F.col("node").alias("src"), F.col("least").alias("dst"))
+    of = lambda end: least.select(F.col("fp").alias(end), F.col("least").alias(f"{end}_node"))
+    near = close_pairs(least.select("fp"), bits, blocks).join(of("src"), "src").join(of("dst"), "dst")
+    return equal.union(near.select("src_node", "dst_node"))
 
 
 def candidates(found: DataFrame, sketch_share: float = 0.6) -> DataFrame:
@@ -122,7 +137,7 @@ def verified(texts: DataFrame, similarity: float = 0.8, words: int = 5, block: i
 def groups(docs: DataFrame, text: str = "text", words: int = 5, similarity: float = 0.8) -> DataFrame:
     """(node, component): the texts that are linked to another one, and the least node of their component."""
     found = checkpointed(sketches(docs, text, words))
-    loose = checkpointed(connected_components(candidates(found)))
+    loose = checkpointed(connected_components(close_fingerprints(found).union(candidates(found))))
     sizes = loose.groupBy("component").agg(F.count("*").alias("bucket_size"))
     members = loose.join(sizes, "component").select("node", F.col("component").alias("key"), "bucket_size")
     texts = docs.select(node_of(text).alias("node"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("text")).join(beside(members), "node").dropDuplicates(["node"])

@@ -132,3 +132,38 @@ def test_rows_not_ids_are_chosen(spark, sf):
     docs = spark.createDataFrame([(*r, "s", 0) for r in rows], SCHEMA)
     got = sorted(((r["doc_id"], r["text"]) for r in corpus_pipeline.near_duplicates(spark, docs, sf).collect()), key=repr)
     assert got == sorted([(0, a), (1, b), (None, "solo text here"), (3, None)], key=repr)
+
+
+def test_near_copies_take_part_in_fingerprint_links(spark):
+    """The stage's SimHash step links all pairs of texts at two or fewer differing bits, equal fingerprints of different texts included."""
+    from gnnspark.llm import neardup
+
+    rng = random.Random(5)
+    texts = [f"{i} " + " ".join(f"w{rng.randrange(5)}" for _ in range(3)) for i in range(20)]
+    for i in range(12):
+        base = [f"w{rng.randrange(3000)}" for _ in range(400)]
+        texts += [" ".join(base), " ".join([*base, f"end{i}"]), "  ".join(base)]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate(texts)], SCHEMA)
+    found = neardup.sketches(docs).cache()
+    fp = {r["node"]: r["fp"] & (2**64 - 1) for r in found.collect()}
+    assert set(fp.values()) == {int.from_bytes(simhash.fingerprint(t, 5), "big") for t in texts}
+    root = {n: n for n in fp}
+    for link in neardup.close_fingerprints(found).collect():
+        a, b = root[link["src"]], root[link["dst"]]
+        root = {n: a if r == b else r for n, r in root.items()}
+    near = [(a, b) for a in fp for b in fp if a < b and (fp[a] ^ fp[b]).bit_count() <= 2]
+    assert len(near) > 3 and all(root[a] == root[b] for a, b in near)
+
+
+def test_few_edges_are_merged_without_rounds(spark, monkeypatch):
+    """A small edge table needs no shuffle, and one task gives the labels of the rounds."""
+    from gnnspark.llm import components
+
+    rng = random.Random(2)
+    pairs = [(i, i + 1) for i in range(100, 160)] + [(rng.randrange(-400, 400), rng.randrange(-400, 400)) for _ in range(300)] + [(7, 7), (None, 3), (3, 4), (4, 3)]
+    edges = spark.createDataFrame(pairs, "src long, dst long")
+    one = components.connected_components(edges)
+    assert "Exchange" not in one._jdf.queryExecution().executedPlan().toString()
+    assert components.connected_components(edges.where("src > 999")).count() == 0
+    monkeypatch.setattr(components, "ONE_TASK", 0)
+    assert sorted(one.collect()) == sorted(components.connected_components(edges).collect())
