@@ -4,7 +4,7 @@ import pytest
 
 from gnnspark.queries import registry
 
-NAMES = "bce_loss"
+NAMES = "bce_loss delays"
 
 
 @pytest.mark.parametrize("name", NAMES.split())
