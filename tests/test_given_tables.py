@@ -4,7 +4,7 @@ import pytest
 
 from gnnspark.queries import registry
 
-NAMES = "bce_loss delays"
+NAMES = "bce_loss delays divergence_curve"
 
 
 @pytest.mark.parametrize("name", NAMES.split())
