@@ -4,7 +4,7 @@ import pytest
 
 from gnnspark.queries import registry
 
-NAMES = "bce_loss delays divergence_curve"
+NAMES = "bce_loss delays divergence_curve exchange_bytes"
 
 
 @pytest.mark.parametrize("name", NAMES.split())
