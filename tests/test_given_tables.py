@@ -4,7 +4,7 @@ import pytest
 
 from gnnspark.queries import registry
 
-NAMES = "bce_loss delays divergence_curve exchange_bytes grad_mean"
+NAMES = "bce_loss delays divergence_curve exchange_bytes grad_mean grad_mean_equals_fold"
 
 
 @pytest.mark.parametrize("name", NAMES.split())
