@@ -4,7 +4,7 @@ import pytest
 
 from gnnspark.queries import registry
 
-NAMES = "bce_loss delays divergence_curve exchange_bytes grad_mean grad_mean_equals_fold"
+NAMES = "bce_loss delays divergence_curve exchange_bytes grad_mean grad_mean_equals_fold grad_running_mean"
 
 
 @pytest.mark.parametrize("name", NAMES.split())
