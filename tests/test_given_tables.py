@@ -4,7 +4,7 @@ import pytest
 
 from gnnspark.queries import registry
 
-NAMES = "bce_loss delays divergence_curve exchange_bytes grad_mean grad_mean_equals_fold grad_running_mean interval_overlap"
+NAMES = "bce_loss delays divergence_curve exchange_bytes grad_mean grad_mean_equals_fold grad_running_mean interval_overlap params_init"
 
 
 @pytest.mark.parametrize("name", NAMES.split())
