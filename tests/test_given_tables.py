@@ -4,7 +4,7 @@ import pytest
 
 from gnnspark.queries import registry
 
-NAMES = "bce_loss delays divergence_curve exchange_bytes grad_mean grad_mean_equals_fold grad_running_mean interval_overlap params_init queue_bound_ok queue_size"
+NAMES = "early_stop_point bce_loss delays divergence_curve exchange_bytes grad_mean grad_mean_equals_fold grad_running_mean interval_overlap params_init queue_bound_ok queue_size"
 
 
 @pytest.mark.parametrize("name", NAMES.split())
