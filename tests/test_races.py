@@ -66,3 +66,11 @@ def test_kept_fastgcn_ranks_few_pairs(world, monkeypatch):
     layerwise.LayerSampler("fastgcn", sizes=(4,), keep=spool).layers(prop, seeds)
     nodes = prop.select("row").distinct().count()
     assert sum(ranked) < nodes * 8 / 4  # of eight batches
+
+
+def test_kept_ladies_shuffles_no_pool(world, monkeypatch):
+    prop, seeds = world
+    plans, race = [], draws.race
+    monkeypatch.setattr(draws, "race", lambda pool, *a, **b: plans.append(pool._jdf.queryExecution().executedPlan().toString()) or race(pool, *a, **b))
+    layerwise.LayerSampler("ladies", sizes=(24,), keep=spool).layers(prop, seeds)
+    assert len(plans) == 1 and plans[0].count("hashpartitioning(batch_id") == 1 and "REPARTITION_BY_NUM" in plans[0]
