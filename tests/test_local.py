@@ -82,3 +82,14 @@ def test_runs_are_dealt_by_stream():
     for tasks in (1, 4, 100):
         dealt = grid.shares(runs, streams, tasks)
         assert sorted(sum(dealt, [])) == list(range(5)) and all(len({runs[n].stream for n in d}) == 1 for d in dealt)
+
+
+def test_document_links_keep_the_bound(spark, tmp_path):
+    """Tokens of 2 to 20 documents link them, both ways and once; the bits let tokens by, the join does not."""
+    from gnnspark.sources.graphs import docs_lex
+
+    texts = ["all one", "all one two", "all two two", None, "all"] + [f"all many{i % 2}" for i in range(42)]
+    frame = spark.createDataFrame([(i, t) for i, t in enumerate(texts)] + [(99, f"x{i}") for i in range(1)], "doc_id long, text string")
+    frame.write.parquet(f"{tmp_path}/documents.parquet")
+    g = docs_lex(spark, str(tmp_path))
+    assert sorted((r["src"] & 0xFF, r["dst"] & 0xFF) for r in g.edges.collect()) == [(0, 1), (1, 0), (1, 2), (2, 1)]
