@@ -93,3 +93,16 @@ def test_document_links_keep_the_bound(spark, tmp_path):
     frame.write.parquet(f"{tmp_path}/documents.parquet")
     g = docs_lex(spark, str(tmp_path))
     assert sorted((r["src"] & 0xFF, r["dst"] & 0xFF) for r in g.edges.collect()) == [(0, 1), (1, 0), (1, 2), (2, 1)]
+
+
+def test_dense_products_equal_sums():
+    """Blocks with many entries for their size are matrices; both forms give the same sums."""
+    from gnnspark.operators import kernels
+
+    rng = np.random.default_rng(3)
+    for n in (5, 400):
+        coo = rng.integers(0, 12, n), rng.integers(0, 15, n), rng.random(n)
+        h, g = rng.random((15, 4)), rng.random((12, 4))
+        assert (kernels.dense(coo, 12, 15) is None) == (n == 5)
+        assert np.allclose(kernels.spread(coo, h, 12), kernels.summed(coo[0], coo[2][:, None] * h[coo[1]], 12))
+        assert np.allclose(kernels.collect(coo, g, 15), kernels.summed(coo[1], coo[2][:, None] * g[coo[0]], 15))
