@@ -106,3 +106,27 @@ def test_dense_products_equal_sums():
         assert (kernels.dense(coo, 12, 15) is None) == (n == 5)
         assert np.allclose(kernels.spread(coo, h, 12), kernels.summed(coo[0], coo[2][:, None] * h[coo[1]], 12))
         assert np.allclose(kernels.collect(coo, g, 15), kernels.summed(coo[1], coo[2][:, None] * g[coo[0]], 15))
+
+
+def test_hashes_in_pieces_equal_single_ones(monkeypatch):
+    """Long arrays are hashed in pieces; what reaches a bound is found without the uniforms of the rest."""
+    from gnnspark.functions import xxhash
+
+    part, head = xxhash.long_part(np.arange(1000)), xxhash.with_int(7, xxhash.START)
+    one = np.concatenate([xxhash.with_part(part[i : i + 1], head) for i in range(1000)])
+    monkeypatch.setattr(xxhash, "PIECE", 64)
+    assert (xxhash.with_part(part, head) == one).all() and (xxhash.with_part(part, np.repeat(head, 1000)) == one).all()
+    u, bound = xxhash.uniforms(one), np.linspace(0, 1, 1000)
+    at, h = xxhash.reaching(part, head, xxhash.least_hash(bound))
+    assert (h == one[at]).all() and set(np.flatnonzero(u >= bound)) <= set(at.tolist()) and len(at) < 520
+    assert (one <= xxhash.most_hash(bound))[u <= bound].all() and (one <= xxhash.most_hash(bound)).sum() < 520
+
+
+def test_rows_with_too_few_early_entries_are_taken_whole(made, monkeypatch):
+    """A first look that finds nothing changes no batch."""
+    sampler, streams = made[3], made[2]
+    mine = [s for s in range(len(streams)) if streams[s].model in B.NODE_WISE]
+    want = [(r.src.tolist(), r.w.tolist()) for s in mine for r in sampler.batches(s, 0)]
+    early = local.Sampler.early
+    monkeypatch.setattr(local.Sampler, "early", lambda self, s, rows, heads, most: early(self, s, rows, heads, np.where(most < 1, 0.0, 1.0)))
+    assert [(r.src.tolist(), r.w.tolist()) for s in mine for r in sampler.batches(s, 0)] == want
