@@ -130,3 +130,24 @@ def test_rows_with_too_few_early_entries_are_taken_whole(made, monkeypatch):
     early = local.Sampler.early
     monkeypatch.setattr(local.Sampler, "early", lambda self, s, rows, heads, most: early(self, s, rows, heads, np.where(most < 1, 0.0, 1.0)))
     assert [(r.src.tolist(), r.w.tolist()) for s in mine for r in sampler.batches(s, 0)] == want
+
+
+def test_nearest_neighbours_need_no_shuffle(spark):
+    """Blocks of any size give the same neighbours as all cosines do, equal vectors by id; vectors with infinite components have none."""
+    from gnnspark.sources.knn import nearest
+
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(60, 8))
+    x[20:40] = x[0]
+    ids = rng.permutation(60)
+    frame = spark.createDataFrame([*((int(i), v.tolist()) for i, v in zip(ids, x)), (99, [float("inf")] * 8), (98, None), (97, [0.0] * 8)], "vec_id long, embedding array<double>")
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    cos = np.array([[(a * b).sum() for b in unit] for a in unit])
+    want = {int(ids[i]): [int(ids[j]) for j in sorted((j for j in range(60) if j != i), key=lambda j: (-cos[i, j], ids[j]))[:7]] for i in range(60)}
+    for block in (5, 1024):
+        found = nearest(frame.repartition(3), 7, block=block)
+        assert "Exchange" not in found._jdf.queryExecution().executedPlan().toString()
+        got = {}
+        for r in sorted(found.collect(), key=lambda r: (r["vec_id"], -r["cosine"], r["neighbour"])):
+            got.setdefault(r["vec_id"], []).append(r["neighbour"])
+        assert got == want
