@@ -70,3 +70,12 @@ def test_workloads_read_no_neighbours_as_rows(spark, sf, monkeypatch):
     assert stats.groupBy("model").count().count() == 2
     path = spark._jvm.org.apache.hadoop.fs.Path(kept[0].folder)
     assert not path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(path)
+
+
+def test_data_sets_go_one_after_another(spark, sf, monkeypatch):
+    """A graph's files are let go before the next one is read, and graphs of 140 million entries lie in arrays."""
+    seen = []
+    monkeypatch.setattr(W, "load_graph", lambda s, d, name: seen.append(name) or load_graph(s, d, name))
+    monkeypatch.setattr(W, "let_go", lambda s: seen.append("gone"))
+    assert len(W.all_stats(spark, sf, ("cust_supp", "emb_knn"), ("gcn",))) == 2
+    assert seen == ["cust_supp", "gone", "emb_knn", "gone"] and local.ENTRIES >= 140_000_000
